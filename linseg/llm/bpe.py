@@ -251,7 +251,8 @@ def encode(df: DataFrame, rank_file: str, pattern: str, id_col: str = "doc_id",
                 "decoded_sha256": [hashlib.sha256(x).hexdigest() for _, _, x in rows],
             }
             if with_ids:
-                out["token_ids"] = [[int(i) for i in x.split(b",")] if x else [] for x, _, _ in rows]
+                flat = np.fromstring(b",".join([x for x, _, _ in rows if x]), np.int32, sep=",")
+                out["token_ids"] = pa.ListArray.from_arrays(np.cumsum([0, *out["n_tokens"]]).astype(np.int32), flat)
             yield out
 
     return map_texts(df, id_col, text_col, kernel, "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string" + ", token_ids array<int>" * with_ids)

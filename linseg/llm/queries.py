@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, licences, mixing, quality, simhash, tokencounts, toxicity
+from . import bpe, licences, mixing, quality, simhash, tokencounts, tokenfile, toxicity
 from .common import load
 
 
@@ -25,6 +25,12 @@ def op6_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.assess(docs, quality.fit(docs, load(spark, sf_dir, "labels")))
 
 
+def op8_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import public_tokenizers as P
+
+    return tokenfile.write_and_read(load(spark, sf_dir, "documents"), P.path("word_bpe_49k.json"))
+
+
 def op9_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = load(spark, sf_dir, "documents")
     return toxicity.score(docs, toxicity.fit(docs, load(spark, sf_dir, "labels")))
@@ -50,6 +56,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op3_simhash": op3_simhash,
     "op5_licences": op5_licences,
     "op6_quality": op6_quality,
+    "op8_token_files": op8_token_files,
     "op9_toxicity": op9_toxicity,
     "op10_token_counts": op10_token_counts,
 }
