@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, licences, mixing, quality, simhash, tokencounts, tokenfile, toxicity
+from . import bpe, classlm, licences, mixing, quality, simhash, tokencounts, tokenfile, toxicity
 from .common import load
 
 
@@ -25,6 +25,10 @@ def op6_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.assess(docs, quality.fit(docs, load(spark, sf_dir, "labels")))
 
 
+def op7_class_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return classlm.score(load(spark, sf_dir, "documents"))
+
+
 def op8_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     import public_tokenizers as P
 
@@ -56,6 +60,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op3_simhash": op3_simhash,
     "op5_licences": op5_licences,
     "op6_quality": op6_quality,
+    "op7_class_lm": op7_class_lm,
     "op8_token_files": op8_token_files,
     "op9_toxicity": op9_toxicity,
     "op10_token_counts": op10_token_counts,
