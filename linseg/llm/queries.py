@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, classlm, licences, mixing, quality, simhash, tokencounts, tokenfile, toxicity
+from . import bm25, bpe, classlm, licences, mixing, quality, simhash, tokencounts, tokenfile, toxicity
 from .common import load
 
 
@@ -50,6 +50,11 @@ def op2_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(load(spark, sf_dir, "documents"))
 
 
+def op4_bm25(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = load(spark, sf_dir, "documents")
+    return bm25.search(docs, docs.where("doc_id % 20 = 0"))
+
+
 def op5_licences(spark: SparkSession, sf_dir: str) -> DataFrame:
     return licences.scan(load(spark, sf_dir, "documents"))
 
@@ -58,6 +63,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_byte_bpe": op1_byte_bpe,
     "op2_mixing": op2_mixing,
     "op3_simhash": op3_simhash,
+    "op4_bm25": op4_bm25,
     "op5_licences": op5_licences,
     "op6_quality": op6_quality,
     "op7_class_lm": op7_class_lm,
@@ -68,5 +74,6 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
 
 ORACLES: dict[str, str] = {
     "op2_mixing": mixing.oracle(),
+    "op4_bm25": bm25.oracle(),
     "op5_licences": licences.oracle(),
 }
