@@ -83,8 +83,8 @@ def worst_residuals(sig: DataFrame, pieces: DataFrame, n: int) -> DataFrame:
 
 def expand_tags(pieces: DataFrame, tags: DataFrame) -> DataFrame:
     """Pieces that hold a tagged place (signal_id, pos): a left semi-join."""
-    j = (pieces.signal_id == tags.signal_id) & (tags.pos >= pieces.start_pos) & (tags.pos < pieces.end_pos)
-    return pieces.join(tags, j, "left_semi")
+    t = tags.select(F.col("signal_id").alias("__sid"), F.col("pos").alias("__at"))
+    return pieces.join(t, (F.col("signal_id") == F.col("__sid")) & (F.col("__at") >= F.col("start_pos")) & (F.col("__at") < F.col("end_pos")), "left_semi")
 
 
 def describe_pieces(pieces: DataFrame, flat: float = 1e-3) -> DataFrame:

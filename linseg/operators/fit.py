@@ -52,10 +52,16 @@ def merge_gain(cells: DataFrame, d: int) -> DataFrame:
     return nxt.select("signal_id", "cell", (C.line_cost(both, d) - C.line_cost(own, d) - C.line_cost(other, d)).alias("gain"))
 
 
+def _in_piece(sig: DataFrame, pieces: DataFrame, cols: list[str]) -> DataFrame:
+    """Points with columns of the piece that holds them; the piece's names are changed first, for both sides may stem from one frame."""
+    p = pieces.select(F.col("signal_id").alias("__sid"), F.col("start_pos").alias("__lo"), F.col("end_pos").alias("__hi"), *[F.col(c).alias(f"__{c}") for c in cols])
+    rows = sig.join(p, (F.col("signal_id") == F.col("__sid")) & (F.col("pos") >= F.col("__lo")) & (F.col("pos") < F.col("__hi")))
+    return rows.select(*sig.columns, *[F.col(f"__{c}").alias(c) for c in cols])
+
+
 def project(sig: DataFrame, pieces: DataFrame) -> DataFrame:
     """Each point with its piece and the line's value there: equi-join on the signal, range condition on the place."""
-    p = pieces.select("signal_id", "seg_no", "start_pos", "end_pos", "intercept", "slope")
-    joined = sig.join(p, (sig.signal_id == p.signal_id) & (sig.pos >= p.start_pos) & (sig.pos < p.end_pos)).drop(p.signal_id)
+    joined = _in_piece(sig, pieces, ["seg_no", "intercept", "slope"])
     return joined.select("signal_id", "pos", "t", "x", "seg_no", C.line_value(F.col("intercept"), F.col("slope"), F.col("t")).alias("x_hat"))
 
 
@@ -70,8 +76,7 @@ def fitting_cost(sig: DataFrame, pieces: DataFrame) -> DataFrame:
 
 def fit_pieces(sig: DataFrame, ranges: DataFrame, d: int) -> DataFrame:
     """Best lines of given pieces (signal_id, seg_no, start_pos, end_pos): one join, one aggregate."""
-    r = ranges.select("signal_id", "seg_no", "start_pos", "end_pos")
-    rows = sig.join(r, (sig.signal_id == r.signal_id) & (sig.pos >= r.start_pos) & (sig.pos < r.end_pos)).drop(r.signal_id)
+    rows = _in_piece(sig, ranges, ["seg_no", "start_pos", "end_pos"])
     sums = moments(rows, d, ["signal_id", "seg_no", "start_pos", "end_pos"])
     m = F.col
     return sums.select(

@@ -63,8 +63,8 @@ truth as materialized (
   select signal_id, seg_no::int seg_no, ({cut("seg_no")})::bigint start_pos, ({cut("seg_no + 1")})::bigint end_pos, n
   from (select signal_id, n, {k} k, unnest(range({k})) seg_no from (select signal_id, count(*) n from base group by 1))),
 planted as materialized (
-  select base.signal_id, pos, t, {", ".join(value(r, m, sd) for r, (m, sd) in enumerate(scale))}
-  from base join truth on truth.signal_id = base.signal_id and pos >= start_pos and pos < end_pos)"""
+  select signal_id, pos, t, {", ".join(value(r, m, sd) for r, (m, sd) in enumerate(scale))}
+  from (select base.*, seg_no, start_pos, n from base join truth on truth.signal_id = base.signal_id and pos >= start_pos and pos < end_pos))"""
 
 
 def best_cut(d: int, gamma: int = 2) -> str:
@@ -119,20 +119,17 @@ def refinement(signal: str, d: int, k: int, starts: str, gamma: int = 2, tol: fl
     ``starts``: a query giving signal_id, run, c1..; the running error difference is a combination of the sums in e.
     """
     cuts = [f"c{j}" for j in range(1, k)]
-    at = lambda j, row: "0" if j == 0 else (f"{row}.n" if j == k else f"{row}.c{j}")
-
-    def lines(row: str) -> str:
-        return " ".join(f"join e o{j} on o{j}.signal_id = {row}.signal_id and o{j}.e = {at(j, row)}" for j in range(k + 1))
-
-    def total(names: list[str]) -> str:
-        return " + ".join(cost(names[j], names[j + 1], d) for j in range(k))
+    sums = ["n", "st", "stt", *[f"{c}{i}" for i in range(d) for c in ("sx", "stx", "sxx")]]
+    place = lambda j: "0" if j == 0 else ("n" if j == k else f"c{j}")
+    found = ", ".join(f"v[({place(j)})::bigint + 1] o{j}" for j in range(k + 1))
+    total = " + ".join(cost(f"o{j}", f"o{j + 1}", d) for j in range(k))
 
     def diff(j: int, lo: str, p: str) -> str:
         """Running difference of errors of line j and j+1 over [lo, p)."""
         m = lambda c: f"({p}.{c} - {lo}.{c})"
         out = []
         for i in range(d):
-            a, b, c, f = f"f.i{j}_{i}", f"f.m{j}_{i}", f"f.i{j + 1}_{i}", f"f.m{j + 1}_{i}"
+            a, b, c, f = f"i{j}_{i}", f"m{j}_{i}", f"i{j + 1}_{i}", f"m{j + 1}_{i}"
             out.append(f"-2 * (({a} - {c}) * {m(f'sx{i}')} + ({b} - {f}) * {m(f'stx{i}')}) + ({a} * {a} - {c} * {c}) * {m('n')} + 2 * ({a} * {b} - {c} * {f}) * {m('st')} + ({b} * {b} - {f} * {f}) * {m('stt')}")
         return " + ".join(out)
 
@@ -141,22 +138,24 @@ def refinement(signal: str, d: int, k: int, starts: str, gamma: int = 2, tol: fl
         for i in range(d):
             s = slope(f"o{j}", f"o{j + 1}", i)
             fields += [f"{s} m{j}_{i}", f"((o{j + 1}.sx{i} - o{j}.sx{i}) - ({s}) * (o{j + 1}.st - o{j}.st)) / (o{j + 1}.n - o{j}.n) i{j}_{i}"]
-    steps, prior = [], "f"
+    steps, last = [], "f"
     for j in range(1, k):
-        lo = "0" if j == 1 else f"v{j - 1}.cut"
-        steps.append(f"""v{j} as (select f.signal_id, f.run, min({{'d': {diff(j - 1, "lo", "p")}, 'cut': p.e}}).cut cut
-    from f {"" if j == 1 else f"join v{j - 1} using (signal_id, run)"} join e lo on lo.signal_id = f.signal_id and lo.e = {lo}
-    join e p on p.signal_id = f.signal_id and p.e >= {lo} + {gamma} and p.e <= {"f.n" if j == k - 1 else f"f.c{j + 1}"} - {gamma} group by 1, 2)""")
-        prior = f"v{j}"
-    del prior
-    joins = " ".join(f"join v{j} using (signal_id, run)" for j in range(1, k))
-    new = ", ".join(f"v{j}.cut c{j}" for j in range(1, k))
+        lo = "0" if j == 1 else f"cut{j - 1}"
+        steps.append(f"""v{j} as materialized (
+    select any_value(columns({last}.* exclude (signal_id, run))), {last}.signal_id, {last}.run, min({{'d': {diff(j - 1, f"{last}.v[({lo})::bigint + 1]", "p")}, 'cut': p.e}}).cut cut{j}
+    from {last} join e p on p.signal_id = {last}.signal_id and p.e >= {lo} + {gamma} and p.e <= {"n0" if j == k - 1 else f"c{j + 1}"} - {gamma} group by {last}.signal_id, {last}.run)""")
+        last = f"v{j}"
+    new = ", ".join(f"cut{j} c{j}" for j in range(1, k))
+    held = ", ".join(cuts)
     return f"""with recursive {ends(signal, d)},
-start as (select b.signal_id, b.run, {", ".join("b." + c for c in cuts)}, z.n from ({starts}) b join size z using (signal_id)),
-r(sweep, signal_id, run, n, {", ".join(cuts)}, cost, before) as (
-  select 0, start.signal_id, start.run, start.n, {", ".join("start." + c for c in cuts)}, {total([f"o{j}" for j in range(k + 1)])}, null::double from start {lines("start")}
+el as materialized (select signal_id, list({{{", ".join(f"'{c}': {c}" for c in sums)}}} order by e) v from e group by 1),
+start as (select b.signal_id, b.run, {", ".join("b." + c for c in cuts)}, z.n::bigint n, v from ({starts}) b join size z using (signal_id) join el using (signal_id)),
+r(sweep, signal_id, run, n, {held}, cost, before) as (
+  select 0, signal_id, run, n, {held}, {total}, null::double from (select *, {found} from start)
   union all (
-  with f as (select r.*, {", ".join(fields)} from r {lines("r")} where sweep < {sweeps} and (before is null or before - cost > {tol} * before)),
+  with f as materialized (
+    select sweep, signal_id, run, n n0, {held}, cost, v, {", ".join(fields)}
+    from (select r.*, v, {found} from r join el using (signal_id) where sweep < {sweeps} and (before is null or before - cost > {tol} * before))),
   {", ".join(steps)},
-  w as (select f.sweep + 1 sweep, f.signal_id, f.run, f.n, {new}, f.cost before from f {joins})
-  select w.sweep, w.signal_id, w.run, w.n, {", ".join("w." + c for c in cuts)}, {total([f"o{j}" for j in range(k + 1)])}, w.before from w {lines("w")}))"""
+  w as (select sweep + 1 sweep, signal_id, run, n0 n, {new}, cost before, v from {last})
+  select sweep, signal_id, run, n, {held}, {total}, before from (select *, {found} from w)))"""

@@ -46,7 +46,7 @@ def r6(c, scale: float = 1.0, digits: int = 6):
 
 def _lines_sql(signal: str, d: int) -> str:
     rows = [
-        f"select signal_id, count(*) n, {i} dim, round(regr_intercept(x{i}, t), 6) intercept, round(regr_slope(x{i}, t), 6) slope, round((regr_syy(x{i}, t) - regr_sxy(x{i}, t) * regr_sxy(x{i}, t) / regr_sxx(x{i}, t)) / 1e6, 6) sse from s group by 1"
+        f"select signal_id, count(*) n, {i} dim, round(regr_intercept(x{i}, t), 4) + 0.0 intercept, round(regr_slope(x{i}, t), 4) + 0.0 slope, round((regr_syy(x{i}, t) - regr_sxy(x{i}, t) * regr_sxy(x{i}, t) / regr_sxx(x{i}, t)) / 1e6, 3) sse from s group by 1"
         for i in range(d)
     ]
     return f"with s as ({signal}) " + " union all ".join(rows)
@@ -54,12 +54,12 @@ def _lines_sql(signal: str, d: int) -> str:
 
 @query(_lines_sql(O.USER, 2))
 def line_fit_user(spark, sf):
-    return fit.fit_lines(B.user_signal(spark, sf), 2).select("signal_id", "n", "dim", r6("intercept").alias("intercept"), r6("slope").alias("slope"), r6("sse", 1e6).alias("sse"))
+    return fit.fit_lines(B.user_signal(spark, sf), 2).select("signal_id", "n", "dim", r6("intercept", 1, 4).alias("intercept"), (r6("slope", 1, 4) + F.lit(0.0)).alias("slope"), r6("sse", 1e6, 3).alias("sse"))
 
 
 @query(_lines_sql(O.SUPPLIER, 4))
 def line_fit_supplier(spark, sf):
-    return fit.fit_lines(B.supplier_signal(spark, sf), 4).select("signal_id", "n", "dim", r6("intercept").alias("intercept"), r6("slope").alias("slope"), r6("sse", 1e6).alias("sse"))
+    return fit.fit_lines(B.supplier_signal(spark, sf), 4).select("signal_id", "n", "dim", r6("intercept", 1, 4).alias("intercept"), (r6("slope", 1, 4) + F.lit(0.0)).alias("slope"), r6("sse", 1e6, 3).alias("sse"))
 
 
 @query(f"with s as ({O.HOURLY}) select signal_id, count(*)::double n, sum(t) st, sum(t * t) stt, " + ", ".join(f"sum(x{i}) sx{i}, sum(t * x{i}) stx{i}, sum(x{i} * x{i}) sxx{i}" for i in range(5)) + " from s group by 1")
@@ -119,7 +119,7 @@ def given_line_cost(spark, sf):
     return whole.select("signal_id", r6(C.given_line_cost(F.col, 2, [F.col("c0"), F.col("c1")], [F.col("m0"), F.col("m1")]), 1e6, 3).alias("cost"))
 
 
-@query("select n::int n, k::int k, g::int gamma, (factorial(n - k * (g - 1) - 1) / factorial(k - 1) / factorial(n - k * g))::bigint partitions, (factorial(n - 2) / factorial(k - 1) / factorial(n - k - 1))::bigint printed from range(12, 25) a(n), range(2, 5) b(k), range(1, 4) c(g)")
+@query("select n::int n, k::int k, g::int gamma, (factorial((n - k * (g - 1) - 1)::int) / factorial((k - 1)::int) / factorial((n - k * g)::int))::bigint partitions, (factorial((n - 2)::int) / factorial((k - 1)::int) / factorial((n - k - 1)::int))::bigint printed from range(12, 25) a(n), range(2, 5) b(k), range(1, 4) c(g)")
 def partition_count(spark, sf):
     grid = spark.range(12, 25).select(F.col("id").cast("int").alias("n")).withColumn("k", F.explode(F.array(*map(F.lit, (2, 3, 4))))).withColumn("gamma", F.explode(F.array(*map(F.lit, (1, 2, 3)))))
     choose = lambda top, k: F.aggregate(F.sequence(F.lit(1), k), F.lit(1).cast("bigint"), lambda acc, i: F.floor(acc * (top - k + i) / i).cast("bigint"))
@@ -127,6 +127,7 @@ def partition_count(spark, sf):
     return grid.select("n", "k", "gamma", choose(F.col("n") - F.col("k") * (F.col("gamma") - 1) - 1, k1).alias("partitions"), choose(F.col("n") - 2, k1).alias("printed"))
 
 
+_BEST_ONLY = f"with {O.ends(O.USER, 2)}, {O.best_cut(2)}"
 _BEST_USER = f"with {O.ends(O.USER, 2)}, {O.best_cut(2)} select signal_id, cut, round(cost / 1e6, 4) cost from best"
 
 
@@ -388,7 +389,7 @@ def describe_pieces(spark, sf):
     return apps.describe_pieces(p).select("signal_id", "seg_no", "dim", r6("slope").alias("slope"), "direction")
 
 
-@query(f"{_BEST_USER.rsplit('select', 1)[0]}, ev as (select user_id::varchar signal_id, (row_number() over (partition by user_id order by ts, event_id) - 1)::double at, event_type from events) select best.signal_id, cut::double cut_t, at from best join ev on ev.signal_id = best.signal_id and event_type = 'error' and abs(at - cut) <= 3")
+@query(f"""{_BEST_ONLY}, ev as (select user_id::varchar signal_id, (row_number() over (partition by user_id order by ts, event_id) - 1)::double "at", event_type from events) select best.signal_id, cut::double cut_t, "at" from best join ev on ev.signal_id = best.signal_id and event_type = 'error' and abs("at" - cut) <= 3""")
 def correlate_cuts(spark, sf):
     """Cuts with error events of the same user at most three places away."""
     cuts = fit.best_single_cut(B.user_signal(spark, sf), 2).select("signal_id", F.col("cut").cast("double").alias("t"))
@@ -436,7 +437,7 @@ def rand_scores(spark, sf):
 
 
 @query(
-    f"""{_BEST_USER.rsplit('select', 1)[0]}, p as (select s.signal_id, pos, pos >= cut a, pos >= (size.n // 2) b from s join best using (signal_id) join size using (signal_id))
+    f"""{_BEST_ONLY}, p as (select s.signal_id, pos, pos >= cut a, pos >= (size.n // 2) b from s join best using (signal_id) join size using (signal_id))
     select x.signal_id, round(avg(case when (x.a = y.a) = (x.b = y.b) then 1.0 else 0.0 end), 6) rand from p x join p y on x.signal_id = y.signal_id and x.pos <> y.pos group by 1"""
 )
 def rand_scores_pairs(spark, sf):
@@ -567,7 +568,7 @@ def sql_table_function(spark, sf):
     sql.register_sql(spark)
     view = f"q_{uuid.uuid4().hex}"
     B.user_signal(spark, sf).select("signal_id", "t", "x").createOrReplaceTempView(view)
-    got = spark.sql(f"select * from segment_signal(table(select * from {view}) partition by signal_id order by t, 2, 'binary_split')")
+    got = spark.sql(f"select * from segment_signal(table(select * from {view}) partition by signal_id order by (t), 2, 'binary_split')")
     return got.where("seg_no = 1").select("signal_id", F.col("start_pos").alias("cut"))
 
 

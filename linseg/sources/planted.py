@@ -37,8 +37,8 @@ def truth(sizes: DataFrame, k_lo: int, k_hi: int | None = None, d: int = 1, seed
 
 def plant(sig: DataFrame, pieces: DataFrame, scale: tuple, nz: float = 1.0, noise: tuple = ("table",)) -> DataFrame:
     """The signal with the pieces' means added to its standardised values; noise may add a sinusoid ('trig') and impulses ('impulse')."""
-    p = pieces.select("signal_id", "start_pos", "end_pos", F.col("n").alias("size"), "level", "tilt", "curve")
-    rows = sig.join(p, (sig.signal_id == p.signal_id) & (sig.pos >= p.start_pos) & (sig.pos < p.end_pos)).drop(p.signal_id)
+    p = pieces.select(F.col("signal_id").alias("__sid"), "start_pos", "end_pos", F.col("n").alias("size"), "level", "tilt", "curve")
+    rows = sig.join(p, (F.col("signal_id") == F.col("__sid")) & (F.col("pos") >= F.col("start_pos")) & (F.col("pos") < F.col("end_pos")))
     u = (F.col("pos") - F.col("start_pos")) / F.col("size")
     values = []
     for r, (mean, sd) in enumerate(scale):
