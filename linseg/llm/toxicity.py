@@ -27,8 +27,8 @@ from .common import keep_rows, map_texts, texts
 
 #: Labelled training documents, of least md5 of their id, that are used; a third of them fits the curve.
 SAMPLE = 24_000
-#: Entries kept at most, the most certain first; weights and certainty (in standard errors) that an entry needs.
-ENTRIES, LEAST_WEIGHT, LEAST_Z, LEAST_DOCS = 4000, 1.5, 4.0, 4
+#: Entries kept at most, the most certain first; weight and certainty (signed root of the likelihood ratio) that an entry needs.
+ENTRIES, LEAST_WEIGHT, LEAST_Z, LEAST_DOCS = 4000, 1.5, 4.5, 4
 #: Lengths of word beginnings that may be entries.
 STEMS = range(4, 11)
 CUT = 0.7
@@ -137,7 +137,8 @@ def choose(counts: list[tuple[str, int, int]], toxic: int, clean: int, entries:
     found = {}
     for entry, a, b in counts:
         w = float(np.log((a + 0.5) / (toxic + 1)) - np.log((b + 0.5) / (clean + 1)))
-        z = w / float(np.sqrt(1 / (a + 0.5) + 1 / (b + 0.5)))
+        share = toxic / (toxic + clean)
+        z = (2 * sum(n * np.log(n / ((a + b) * p)) for n, p in ((a, share), (b, 1 - share)) if n)) ** 0.5 if a + b else 0.0
         if a >= LEAST_DOCS and w >= LEAST_WEIGHT and z >= LEAST_Z:
             found[entry] = (w, z)
     kept: dict[str, float] = {}
