@@ -17,8 +17,10 @@ import gc
 import io
 import os
 import struct
+import unicodedata
 import uuid
 import zlib
+from array import array
 from collections.abc import Iterable, Iterator
 from dataclasses import dataclass
 from functools import lru_cache
@@ -37,7 +39,8 @@ END_ID = 2
 MAGIC, VERSION = b"LTOK", 1
 _HEAD = "<4sIIQQ"
 GAMMA, LEVELS = 2.0, 24
-CACHE = 400_000
+#: Words kept by each generation of the cache, and half the stretches.
+CACHE = 300_000
 #: Ids that the reader holds at once.
 READ_IDS = 4 << 20
 
@@ -168,7 +171,8 @@ class Encoder:
     """Ids of a text as raw bytes; a stretch between spaces is encoded once while it is in the cache.
 
     The tokenizer drops white space and no match of its pattern, composition or case rule crosses a space, so the
-    stretches' ids joined are the text's.
+    stretches' ids joined are the text's.  Neither does a match cross from a letter to a full stop or comma, and ASCII
+    text has one lower case: stretches that differ in those share the ids of their word.
     """
 
     def __init__(self, tokenizer_file: str):
@@ -177,21 +181,58 @@ class Encoder:
 
         self.tok = Tokenizer.from_file(tokenizer_file)
         self.tok.encode_special_tokens = True
-        self.kind = "<u2" if self.tok.get_vocab_size() <= 1 << 16 else "<u4"
-        self.known = Recent(CACHE)
+        self.code, self.kind = ("H", "<u2") if self.tok.get_vocab_size() <= 1 << 16 else ("I", "<u4")
+        self.ends = np.zeros(self.tok.get_vocab_size(), bool)
+        self.ends[[i for t, i in self.tok.get_vocab().items() if t.endswith("</w>")]] = True
+        self.known, self.words = Recent(2 * CACHE), Recent(CACHE)
+
+    def _each(self, group: list[str]) -> list[bytes]:
+        return [array(self.code, e.ids).tobytes() for e in self.tok.encode_batch_fast(group, add_special_tokens=False)]
+
+    def _raw(self, group: list[str]) -> dict[str, bytes]:
+        """Ids of each stretch.  One of letters only is one match of the pattern, whose last token alone ends a word: such stretches are encoded together and parted there."""
+        plain = [s for s in group if s.isalpha() and (s.isascii() or unicodedata.normalize("NFC", s).lower().isalpha())]
+        out, rest = {}, set(group).difference(plain)
+        for lo in range(0, len(plain), 4000):
+            part = plain[lo : lo + 4000]
+            ids = np.array(self.tok.encode(" ".join(part), add_special_tokens=False).ids, self.kind)
+            cut = np.flatnonzero(self.ends[ids]) + 1
+            if len(cut) != len(part):
+                rest.update(part)
+                continue
+            raw, at = ids.tobytes(), (cut * ids.itemsize).tolist()
+            out.update((s, raw[a:b]) for s, a, b in zip(part, [0, *at], at))
+        rest = list(rest)
+        for lo in range(0, len(rest), 20_000):
+            out.update(zip(rest[lo : lo + 20_000], self._each(rest[lo : lo + 20_000]), strict=True))
+        return out
+
+    def _learn(self, stretches: list[str]) -> None:
+        self.words.turn()
+        parts = []
+        for s in stretches:
+            end = ""
+            if s.isascii():
+                s = s.lower()
+                if s[-1:] in (".", ",") and s[-2:-1].isalpha():
+                    s, end = s[:-1], s[-1]
+            parts.append((s, end))
+        unknown = self.words.missing({w for p in parts for w in p})
+        words = self.words.new
+        words.update(self._raw(unknown))
+        self.known.new.update((s, words[w] + words[end]) for s, (w, end) in zip(stretches, parts, strict=True))
 
     def encode(self, group: list[str]) -> list[bytes]:
         self.known.turn()
         get, keys = self.known.new.get, [x.split(" ") for x in group]
         got = [list(map(get, ks)) for ks in keys]
-        absent = [i for i, g in enumerate(got) if None in g]
-        missing = self.known.missing({k for i in absent for k, g in zip(keys[i], got[i], strict=True) if g is None})
-        for lo in range(0, len(missing), 50_000):
-            part = missing[lo : lo + 50_000]
-            for k, e in zip(part, self.tok.encode_batch_fast(part, add_special_tokens=False), strict=True):
-                self.known.new[k] = np.array(e.ids, self.kind).tobytes()
-        for i in absent:
-            got[i] = list(map(get, keys[i]))
+        holes = [(g, ks, [j for j, v in enumerate(g) if v is None]) for g, ks in zip(got, keys, strict=True) if None in g]
+        if missing := self.known.missing({ks[j] for _, ks, at in holes for j in at}):
+            self._learn(missing)
+        known = self.known.new
+        for g, ks, at in holes:
+            for j in at:
+                g[j] = known[ks[j]]
         return [b"".join(g) for g in got]
 
 
