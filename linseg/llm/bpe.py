@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import map_texts, texts
+from .common import map_texts, release_memory, texts
 
 #: Unicode White_Space, as the pattern's white-space class means it.
 _WS = "\t\n\x0b\x0c\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000"
@@ -33,11 +33,11 @@ _RUN = re.compile(rf"[{_WS}] (?:[{_WS}]|\Z)")
 #: Stretches that the pattern never joins: a word with the space before it, or a run of white space.
 _STRETCH = re.compile(rf" ?[^{_WS}]+|[{_WS}]+(?![^{_WS}])|[{_WS}]+")
 #: Stretches kept by each generation of the cache.
-CACHE = 300_000
+CACHE = 120_000
 #: Pieces of more bytes than this are contracted by the query for long words.
 LONG = 160
 #: Pieces that one recursive query takes.
-BATCH = 60_000
+BATCH = 40_000
 
 #: State rows: word, position, next position, token, next token, rank of the two, still live.
 _CONTRACT = """
@@ -116,7 +116,7 @@ class Codec:
                 if a is not None and b is not None:
                     left.append(a), right.append(b), rank.append(r)
         self.byte = np.array([self.ranks[bytes([i])] for i in range(256)], np.int32)
-        self.db = duckdb.connect(config={"threads": 1, "memory_limit": "300MB", "temp_directory": os.path.join(os.environ.get("TMPDIR", "/tmp"), "linseg-duckdb")})
+        self.db = duckdb.connect(config={"threads": 1, "memory_limit": "200MB", "temp_directory": os.path.join(os.environ.get("TMPDIR", "/tmp"), "linseg-duckdb")})
         self._table("merges", {"ab": np.array(left, np.int64) * 131072 + np.array(right, np.int64), "m": np.array(rank, np.int32), "safe": pa.array([x not in unsafe for x in rank])})
         #: A byte stands as the character of the same number, so that bytes need no valid UTF-8.
         self._table("vocab", {"id": np.array(list(self.ranks.values()), np.int32), "piece": [x.decode("latin-1") for x in self.ranks]})
@@ -165,6 +165,11 @@ class Codec:
             out[w] = piece.encode("latin-1")
         return out
 
+    def rest(self) -> None:
+        """Gives memory back between tasks."""
+        self.words, self.spans = Recent(self.words.size), Recent(self.spans.size)
+        release_memory()
+
     def keys(self, text: str) -> list:
         """The text's stretches; no match of the pattern crosses their edges.  A plain string stands for itself after one space, a tuple for itself."""
         if not text:
@@ -193,11 +198,13 @@ class Codec:
         self.spans.turn()
         get, keys = self.spans.new.get, [self.keys(x) for x in group]
         got = [list(map(get, ks)) for ks in keys]
-        absent = [i for i, g in enumerate(got) if None in g]
-        if missing := self.spans.missing({k for i in absent for k, g in zip(keys[i], got[i], strict=True) if g is None}):
+        holes = [(g, ks, [j for j, v in enumerate(g) if v is None]) for g, ks in zip(got, keys, strict=True) if None in g]
+        if missing := self.spans.missing({ks[j] for _, ks, at in holes for j in at}):
             self._learn(missing)
-        for i in absent:
-            got[i] = list(map(get, keys[i]))
+        known = self.spans.new
+        for g, ks, at in holes:
+            for j in at:
+                g[j] = known[ks[j]]
         for g in got:
             yield b",".join([x[0] for x in g]), sum([x[1] for x in g]), b"".join([x[2] for x in g])
 
@@ -254,6 +261,7 @@ def encode(df: DataFrame, rank_file: str, pattern: str, id_col: str = "doc_id",
                 flat = np.fromstring(b",".join([x for x, _, _ in rows if x]), np.int32, sep=",")
                 out["token_ids"] = pa.ListArray.from_arrays(np.cumsum([0, *out["n_tokens"]]).astype(np.int32), flat)
             yield out
+        c.rest()
 
     return map_texts(df, id_col, text_col, kernel, "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string" + ", token_ids array<int>" * with_ids)
 
