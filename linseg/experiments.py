@@ -49,16 +49,21 @@ def many_cuts_small(spark: SparkSession, sf: str, every: int = 10) -> DataFrame:
     return scored(x, truth, "k", SMALL, "optimal_partition")
 
 
-def slices(spark: SparkSession, sf: str, sizes: tuple[int, ...]) -> DataFrame:
-    """One signal of each size: the first rows of all line items in their total order (positions by range partitions, no global window)."""
+def line_items(spark: SparkSession, sf: str) -> DataFrame:
+    """pos, t, x of all line items in their total order (positions by range partitions, no global window)."""
     from .operators.giant import with_global_position
 
     cols = ["l_shipdate", "l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_quantity", "l_extendedprice", "l_discount", "l_tax"]
-    rows = with_global_position(builders.load_table(spark, sf, "lineitem", cols), cols[:5]).where(F.col("pos") < max(sizes))
+    rows = with_global_position(builders.load_table(spark, sf, "lineitem", cols), cols[:5])
     x = F.array(F.col("l_quantity"), F.round(F.col("l_extendedprice") * 100), F.round(F.col("l_discount") * 100), F.round(F.col("l_tax") * 100))
+    return rows.select(F.col("pos").cast("bigint").alias("pos"), F.col("pos").cast("double").alias("t"), x.alias("x"))
+
+
+def slices(spark: SparkSession, sf: str, sizes: tuple[int, ...]) -> DataFrame:
+    """One signal of each size: the first rows of all line items in their total order."""
     size = F.explode(F.array(*[F.lit(n) for n in sizes])).alias("size")
-    grown = rows.select("pos", x.alias("x"), size).where(F.col("pos") < F.col("size"))
-    return grown.select(F.col("size").cast("string").alias("signal_id"), F.col("pos").cast("bigint").alias("pos"), F.col("pos").cast("double").alias("t"), "x")
+    grown = line_items(spark, sf).where(F.col("pos") < max(sizes)).select("pos", "t", "x", size).where(F.col("pos") < F.col("size"))
+    return grown.select(F.col("size").cast("string").alias("signal_id"), "pos", "t", "x")
 
 
 def many_cuts_large(spark: SparkSession, sf: str, sizes: tuple[int, ...] = (4000, 10_000, 30_000)) -> DataFrame:

@@ -619,8 +619,7 @@ def natural_saw_tooth(spark, sf):
 @query()
 def giant_refine_then_merge(spark, sf):
     """All line items as one signal, cut into blocks: five pieces; positions come from range partitions."""
-    sig = X.slices(spark, sf, (60_000,)).select("pos", "t", "x")
-    blocks = giant.Blocks(sig, 8192)
+    blocks = giant.Blocks(X.line_items(spark, sf), 8192)
     cuts, trace = giant.refine_then_merge(blocks, 5, size=25)
     return spark.createDataFrame([(int(c), len(trace) - 1) for c in cuts], "pos bigint, sweeps int")
 
