@@ -9,3 +9,10 @@ def test_giant_signal_has_every_line_item(spark):
     rows = spark.read.parquet(f"{BIG}/lineitem.parquet").count()
     got = QUERIES["giant_refine_then_merge"](spark, BIG).collect()
     assert rows > 60_000 and max(r.pos for r in got) == rows and len(got) == 6
+
+
+def test_ranges_behind_the_millionth_event(spark, tmp_path):
+    n = 1_000_020
+    events = spark.range(n).selectExpr("id event_id", "1L user_id", "timestamp_micros(id) ts", "'view' event_type", "cast(id % 7 as double) value", "'{\"k\": 1}' props")
+    events.write.parquet(str(tmp_path / "events.parquet"))
+    assert QUERIES["prefix_cost_ranges"](spark, str(tmp_path)).agg({"end_pos": "max"}).first()[0] == n
