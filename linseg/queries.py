@@ -273,7 +273,7 @@ def optimal_over_cells_user(spark, sf):
 
 @query()
 def optimal_over_cells_svd(spark, sf):
-    return S.scores_of(S.segment(B.user_signal(spark, sf).where("cast(signal_id as bigint) % 5 = 0"), 3, "optimal_over_cells", sf=10, compress="svd")).select("signal_id", "n_cells", r6("cost", 1e6, 4).alias("cost"))
+    return S.scores_of(S.segment(B.user_signal(spark, sf), 3, "optimal_over_cells", sf=10, compress="svd")).select("signal_id", "n_cells", r6("cost", 1e6, 4).alias("cost"))
 
 
 _THREE = "select signal_id, 0 run, n::bigint // 3 c1, (2 * n::bigint) // 3 c2 from size"
@@ -328,7 +328,7 @@ def warm_start_user(spark, sf):
 @query()
 def cost_models_user(spark, sf):
     """Mean, line and absolute-error line costs of the best two pieces."""
-    sig = B.user_signal(spark, sf).where("cast(signal_id as bigint) % 10 = 0")
+    sig = B.user_signal(spark, sf)
     parts = [S.scores_of(S.segment(sig, 2, "binary_split", cost=c)).withColumn("model", F.lit(c)) for c in ("l2_linear", "l2_constant", "l1_linear")]
     return parts[0].unionByName(parts[1]).unionByName(parts[2]).select("signal_id", "model", r6("cost", 1e3, 3).alias("cost"))
 

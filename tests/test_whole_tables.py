@@ -1,5 +1,7 @@
 """Registered queries read their whole tables: sizes beyond the old caps, and every id."""
 
+from conftest import SF
+
 from linseg.queries import QUERIES
 
 BIG = "/root/testdata/sf0.1"
@@ -16,3 +18,9 @@ def test_ranges_behind_the_millionth_event(spark, tmp_path):
     events = spark.range(n).selectExpr("id event_id", "1L user_id", "timestamp_micros(id) ts", "'view' event_type", "cast(id % 7 as double) value", "'{\"k\": 1}' props")
     events.write.parquet(str(tmp_path / "events.parquet"))
     assert QUERIES["prefix_cost_ranges"](spark, str(tmp_path)).agg({"end_pos": "max"}).first()[0] == n
+
+
+def test_compressed_cells_and_cost_models_of_every_user(spark):
+    users = {str(r.user_id) for r in spark.read.parquet(f"{SF}/events.parquet").select("user_id").distinct().collect()}
+    assert {r.signal_id for r in QUERIES["optimal_over_cells_svd"](spark, SF).collect()} == users
+    assert {(r.signal_id, r.model) for r in QUERIES["cost_models_user"](spark, SF).collect()} == {(u, m) for u in users for m in ("l2_linear", "l2_constant", "l1_linear")}
