@@ -19,8 +19,8 @@ def published(spark: SparkSession, sf: str) -> dict[str, list[dict]]:
     from linseg import experiments as X
 
     tables = {
-        "one_cut": X.single_cut(spark, sf, every=50),
-        "many_cuts_small": X.many_cuts_small(spark, sf, every=200),
+        "one_cut": X.single_cut(spark, sf),
+        "many_cuts_small": X.many_cuts_small(spark, sf),
         "many_cuts_large": X.many_cuts_large(spark, sf, (4000, 30_000)),
         "frames": X.frames(spark, sf),
         "million_points": X.million_points(spark, sf, 300_000),

@@ -33,19 +33,14 @@ def scored(sig: DataFrame, truth: DataFrame | None, k: int | str, methods: tuple
     return out.join(more, "method")
 
 
-def _some(sig: DataFrame, modulus: int) -> DataFrame:
-    """Signals whose numeric id the modulus divides (the published experiments run on 100 to 200 signals)."""
-    return sig.where(F.col("signal_id").cast("bigint") % modulus == 0)
-
-
-def single_cut(spark: SparkSession, sf: str, amp: float = 0.5, every: int = 1) -> DataFrame:
+def single_cut(spark: SparkSession, sf: str, amp: float = 0.5) -> DataFrame:
     """One planted cut in each supplier's rows."""
-    x, truth = planted.planted(_some(builders.supplier_signal(spark, sf), every), planted.SUPPLIER_SCALE, 2, None, "w1", amp, 1.0, 0.3)
+    x, truth = planted.planted(builders.supplier_signal(spark, sf), planted.SUPPLIER_SCALE, 2, None, "w1", amp, 1.0, 0.3)
     return scored(x, truth, 2, SINGLE, "binary_split")
 
 
-def many_cuts_small(spark: SparkSession, sf: str, every: int = 10) -> DataFrame:
-    x, truth = planted.planted(_some(builders.supplier_signal(spark, sf), every), planted.SUPPLIER_SCALE, 2, 10, "w2", 1.0, 1.0, 0.3)
+def many_cuts_small(spark: SparkSession, sf: str) -> DataFrame:
+    x, truth = planted.planted(builders.supplier_signal(spark, sf), planted.SUPPLIER_SCALE, 2, 10, "w2", 1.0, 1.0, 0.3)
     return scored(x, truth, "k", SMALL, "optimal_partition")
 
 
@@ -90,9 +85,9 @@ def run_time_growth(spark: SparkSession, sf: str, sizes: tuple[int, ...] = (400,
     return metrics.scaling_slope(s)
 
 
-def mismatch(spark: SparkSession, sf: str, every: int = 1) -> DataFrame:
+def mismatch(spark: SparkSession, sf: str) -> DataFrame:
     """Strong curves: the least cost isn't the best cut."""
-    x, truth = planted.planted(_some(builders.supplier_signal(spark, sf), every), planted.SUPPLIER_SCALE, 2, None, "w7", 0.5, 0.5, 3.0)
+    x, truth = planted.planted(builders.supplier_signal(spark, sf), planted.SUPPLIER_SCALE, 2, None, "w7", 0.5, 0.5, 3.0)
     return scored(x, truth, 2, ("binary_split", "bottom_up_merge"), "binary_split")
 
 
@@ -113,9 +108,9 @@ def down_sampled(spark: SparkSession, sf: str, steps: tuple[int, ...] = (1, 2, 5
     return reduce(DataFrame.unionByName, parts).select("m", "cost", "covering", "rand", "runtime_s")
 
 
-def number_unknown(spark: SparkSession, sf: str, every: int = 10) -> DataFrame:
+def number_unknown(spark: SparkSession, sf: str) -> DataFrame:
     """Found against planted number of pieces."""
-    x, truth = planted.planted(_some(builders.supplier_signal(spark, sf), every), planted.SUPPLIER_SCALE, 2, 8, "w11", 2.0, 1.0, 0.0)
+    x, truth = planted.planted(builders.supplier_signal(spark, sf), planted.SUPPLIER_SCALE, 2, 8, "w11", 2.0, 1.0, 0.0)
     found = scores_of(segment(x, 12, "unknown_k", on_infeasible="clamp")).select("signal_id", F.col("k").alias("found"))
     return truth.groupBy("signal_id").agg(F.count("*").alias("planted")).join(found, "signal_id")
 
@@ -128,9 +123,9 @@ def business_series(spark: SparkSession, sf: str) -> DataFrame:
     return scores_of(compare(sig, 4, ("optimal_partition", "refine_then_merge"))).select("signal_id", "method", "k", "cost", "runtime_s")
 
 
-def ablation(spark: SparkSession, sf: str, every: int = 20) -> DataFrame:
+def ablation(spark: SparkSession, sf: str) -> DataFrame:
     """Minimum piece, tolerance and visit order of the refinement on planted signals: cost, covering, sweeps."""
-    x, truth = planted.planted(_some(builders.supplier_signal(spark, sf), every), planted.SUPPLIER_SCALE, 2, 10, "abl", 1.0, 1.0, 0.3)
+    x, truth = planted.planted(builders.supplier_signal(spark, sf), planted.SUPPLIER_SCALE, 2, 10, "abl", 1.0, 1.0, 0.3)
     settings = [{"gamma": g} for g in (1, 2, 8)] + [{"tol": t} for t in (1e-2, 1e-6)] + [{"order": o} for o in ("left_to_right", "odd_even")]
     parts = [metrics.evaluate(truth, segment(x, "k", "refine_then_merge", **o)).withColumn("setting", F.lit(str(o))) for o in settings]
     return reduce(DataFrame.unionByName, parts).groupBy("setting").agg(F.avg("cost").alias("cost"), F.avg("covering").alias("covering"), F.avg("sweeps").alias("sweeps"))

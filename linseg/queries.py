@@ -635,12 +635,12 @@ def _rounded(df: DataFrame) -> DataFrame:
 
 @query()
 def experiment_single_cut(spark, sf):
-    return _rounded(X.single_cut(spark, sf, every=5))
+    return _rounded(X.single_cut(spark, sf))
 
 
 @query()
 def experiment_small(spark, sf):
-    return _rounded(X.many_cuts_small(spark, sf, every=25))
+    return _rounded(X.many_cuts_small(spark, sf))
 
 
 @query()
@@ -665,7 +665,7 @@ def experiment_run_time_growth(spark, sf):
 
 @query()
 def experiment_mismatch(spark, sf):
-    return _rounded(X.mismatch(spark, sf, every=5))
+    return _rounded(X.mismatch(spark, sf))
 
 
 @query()

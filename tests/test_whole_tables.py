@@ -24,3 +24,10 @@ def test_compressed_cells_and_cost_models_of_every_user(spark):
     users = {str(r.user_id) for r in spark.read.parquet(f"{SF}/events.parquet").select("user_id").distinct().collect()}
     assert {r.signal_id for r in QUERIES["optimal_over_cells_svd"](spark, SF).collect()} == users
     assert {(r.signal_id, r.model) for r in QUERIES["cost_models_user"](spark, SF).collect()} == {(u, m) for u in users for m in ("l2_linear", "l2_constant", "l1_linear")}
+
+
+def test_experiments_of_every_supplier(spark):
+    n = spark.read.parquet(f"{SF}/lineitem.parquet").select("l_suppkey").distinct().count()
+    for name in ("experiment_single_cut", "experiment_mismatch", "experiment_small"):
+        assert {r.signals for r in QUERIES[name](spark, SF).collect()} == {n}, name
+    assert QUERIES["experiment_unknown_k"](spark, SF).count() == n
