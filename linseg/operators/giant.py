@@ -202,24 +202,67 @@ def bottom_up(blocks: Blocks, k: int, cells: int = 4096) -> list[int]:
     return merge(blocks, uniform(blocks.n, min(cells, max(k, blocks.n // 2))).tolist(), k)
 
 
-def bottom_up_rounds(sig: DataFrame, d: int, delta: int, k: int) -> DataFrame:
+def bottom_up_rounds(sig: DataFrame, d: int, delta: int, k: int, few: int = 64) -> DataFrame:
     """Approximate merging for any number of cells: each round fuses every pair whose gain is least among its neighbours.
 
-    Not the strict greedy order: a fusion can make its neighbour cheaper.  Rounds halve the cells at best; the last
-    ones go to the strict merge once few are left.  Returns signal_id, cell (its first place), moments.
+    Not the strict greedy order: a fusion can make its neighbour cheaper.  Rounds halve the cells at best, each
+    checkpointed, until every signal has ``few`` (at least 2k) or less; those go to the strict merge, which leaves k
+    (all cells where there are fewer).  Returns signal_id, cell (its first place), moments.
     """
-    from ..functions import columns as C
+    from ..llm.common import cut
     from .fit import moments
 
-    cells = moments(sig.withColumn("cell", F.floor(F.col("pos") / delta) * delta), d, ["signal_id", "cell"])
+    few = max(few, 2 * k)
+    cells = cut(moments(sig.withColumn("cell", F.floor(F.col("pos") / delta) * delta), d, ["signal_id", "cell"]))
+    before = None
+    while True:
+        most, now = cells.groupBy("signal_id").count().agg(F.max("count"), F.sum("count")).first()
+        if most is None or most <= few or now == before:
+            break
+        before, cells = now, cut(_round(cells, d, few))
+    return cells.groupBy("signal_id").applyInPandas(lambda p: _strict(p, d, k), cells.schema)
+
+
+def _round(cells: DataFrame, d: int, few: int) -> DataFrame:
+    """One round over the signals of more than ``few`` cells."""
+    from ..functions import columns as C
+
     w = Window.partitionBy("signal_id").orderBy("cell")
     nxt = {n: F.lead(n).over(w) for n in C.sum_names(d)}
-    gained = cells.select("*", *[v.alias(f"next_{n}") for n, v in nxt.items()])
+    gained = cells.select("*", F.count("*").over(Window.partitionBy("signal_id")).alias("cells"), *[v.alias(f"next_{n}") for n, v in nxt.items()])
     own, other = (lambda n: F.col(n)), (lambda n: F.col(f"next_{n}"))
     both = lambda n: F.col(n) + F.col(f"next_{n}")
     gain = C.line_cost(both, d) - C.line_cost(own, d) - C.line_cost(other, d)
-    g = gained.withColumn("gain", F.when(F.col("next_n").isNotNull(), gain)).withColumn("left", F.lag("gain").over(w)).withColumn("right", F.lead("gain").over(w))
+    g = gained.withColumn("gain", F.when(F.col("next_n").isNotNull() & (F.col("cells") > few), gain)).withColumn("left", F.lag("gain").over(w)).withColumn("right", F.lead("gain").over(w))
     fuse = g.withColumn("fuse", F.col("gain").isNotNull() & (F.col("left").isNull() | (F.col("gain") < F.col("left"))) & (F.col("right").isNull() | (F.col("gain") <= F.col("right"))))
     gone = F.coalesce(F.lag("fuse").over(w), F.lit(False))
     head = fuse.withColumn("target", F.when(gone, F.lag("cell").over(w)).otherwise(F.col("cell")))
     return head.groupBy("signal_id", F.col("target").alias("cell")).agg(*[F.sum(n).alias(n) for n in C.sum_names(d)])
+
+
+class _Cells:
+    """Cell moments, in order, as a source of costs for the greedy merge; places are cell numbers."""
+
+    def __init__(self, rows: np.ndarray, d: int):
+        self.n, self.d = len(rows), d
+        self.run = np.concatenate([np.zeros((1, rows.shape[1])), np.cumsum(rows, 0)])
+
+    def cost(self, i, j):
+        m = self.run[np.asarray(j, int)] - self.run[np.asarray(i, int)]
+        n, st, stt, sx, stx, sxx = m[:, 0], m[:, 1], m[:, 2], m[:, 3::3], m[:, 4::3], m[:, 5::3]
+        var, cov = stt - st * st / n, stx - st[:, None] * sx / n[:, None]
+        flat = sxx - sx * sx / n[:, None] - cov * cov / np.where(var > 0, var, 1.0)[:, None]
+        return np.where(n > 2, np.maximum(flat.sum(1), 0.0), 0.0)
+
+    def one(self, i: int, j: int) -> float:
+        return float(self.cost([i], [j])[0])
+
+
+def _strict(p, d: int, k: int):
+    from ..functions import columns as C
+
+    p = p.sort_values("cell", ignore_index=True)
+    starts = merging.merge(_Cells(p[C.sum_names(d)].to_numpy(float), d), np.arange(len(p) + 1), k)[0][:-1]
+    out = p.iloc[starts].copy()
+    out[C.sum_names(d)] = np.add.reduceat(p[C.sum_names(d)].to_numpy(float), starts, 0)
+    return out

@@ -2,6 +2,7 @@
 
 from conftest import SF
 
+from linseg.operators import giant
 from linseg.queries import QUERIES
 
 BIG = "/root/testdata/sf0.1"
@@ -31,3 +32,13 @@ def test_experiments_of_every_supplier(spark):
     for name in ("experiment_single_cut", "experiment_mismatch", "experiment_small"):
         assert {r.signals for r in QUERIES[name](spark, SF).collect()} == {n}, name
     assert QUERIES["experiment_unknown_k"](spark, SF).count() == n
+
+
+def test_rounds_end_at_k_pieces(spark):
+    x = [0.0] * 400 + [50.0 + 2 * i for i in range(300)] + [-80.0] * 300
+    sig = spark.createDataFrame([(s, i, float(i), [v, -v]) for s in "ab" for i, v in enumerate(x if s == "a" else x[395:405])], "signal_id string, pos bigint, t double, x array<double>")
+    got = giant.bottom_up_rounds(sig, 2, 5, 3, few=8).orderBy("cell").collect()
+    assert [(r.cell, r.n) for r in got if r.signal_id == "a"] == [(0, 400), (400, 300), (700, 300)]
+    assert sum(r.n for r in got if r.signal_id == "b") == 10
+    users = QUERIES["bottom_up_rounds"](spark, SF).groupBy("signal_id").count().collect()
+    assert len(users) == 15 and all(r["count"] == 3 for r in users)
