@@ -3,10 +3,11 @@
 A partition's texts are cut into stretches; the stretches not seen yet become token-position rows of a DuckDB
 table.  A recursive query joins neighbouring rows with the merge table and contracts, in every word at once, the
 leftmost pair of least rank, until no pair is left that can merge.  An ordered aggregation over the vocabulary
-turns ids back into bytes.  Results of a stretch are remembered in a cache of bounded size that drops its older half.
+turns ids back into bytes.  Results of a stretch are remembered in a store bounded by bytes (``stretches``).
 
 Defined results: a null text is the empty text (no tokens); repeated rows are encoded each; an empty table gives
-no rows; the special tokens' strings are ordinary text; columns other than id and text are never read.
+no rows; a text or a single word of any length is encoded whole; of equal pairs the leftmost goes first; the special
+tokens' strings are ordinary text; columns other than id and text are never read, whatever their names.
 """
 
 from __future__ import annotations
@@ -25,6 +26,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import map_texts, release_memory, texts
+from .stretches import GENERATION, Store, joined, of_texts, payload, ragged, run_lengths
 
 #: Unicode White_Space, as the pattern's white-space class means it.
 _WS = "\t\n\x0b\x0c\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000"
@@ -32,12 +34,10 @@ _WS = "\t\n\x0b\x0c\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000"
 _RUN = re.compile(rf"[{_WS}] (?:[{_WS}]|\Z)")
 #: Stretches that the pattern never joins: a word with the space before it, or a run of white space.
 _STRETCH = re.compile(rf" ?[^{_WS}]+|[{_WS}]+(?![^{_WS}])|[{_WS}]+")
-#: Stretches kept by each generation of the cache.
-CACHE = 120_000
 #: Pieces of more bytes than this are contracted by the query for long words.
 LONG = 160
-#: Pieces that one recursive query takes.
-BATCH = 40_000
+#: Pieces, and their bytes, that one recursive query takes.
+BATCH, BATCH_BYTES = 40_000, 1 << 20
 
 #: State rows: word, position, next position, token, next token, rank of the two, still live.
 _CONTRACT = """
@@ -63,70 +63,110 @@ with recursive state(w, pos, nxt, tok, ntok, rk, live) as (
 select w, pos, tok from state where not live
 """
 
-#: The same fixpoint for long words: where no token of lower rank starts or ends with the merged one, contracting
-#: its later occurrences can't uncover a lower pair, so the leftmost and all that follow it go in one step.
+#: The same fixpoint for long words, many contractions a step.  Here a token is its id with its first and its last byte above it.
+#: What may yet take a pair's left part is the token before it, or a longer one that ends with that token and the byte
+#: before it; likewise on the right.  ``lefts`` and ``rights`` hold the least rank of the merges of such longer ones.  A run of
+#: pairs of one rank that no lower merge can reach, and whose merged tokens join nothing at a lower rank, ends up contracted
+#: from the left whatever happens elsewhere: a step contracts all such runs beside the leftmost pair of least rank.
 _CONTRACT_LONG = """
 with recursive state(w, pos, tok, live) as (
-  select w, pos, tok, true from word_rows
+  select w, pos, b.code, true from word_rows join codes b on b.id = tok
   union all (
     with pairs as materialized (
-      select n.*, g.m, g.safe from (
-        select w, pos, tok, lead(tok) over (partition by w order by pos) ntok,
-          row_number() over (partition by w order by pos) idx from state where live) n
-      left join merges g on g.ab = n.tok::bigint * 131072 + n.ntok),
+      select n.*, g.code, g.m, lag(g.m) over o m_before, lead(g.m) over o m_after from (
+        select w, pos, tok, lag(tok) over o & 131071 x, lag(tok, 2) over o >> 25 p, lead(tok) over o & 131071 nt, lead(tok, 2) over o & 131071 y,
+          (lead(tok, 3) over o >> 17) & 255 z, row_number() over o idx from state where live window o as (partition by w order by pos)) n
+      left join merges g on g.ab = (n.tok & 131071) * 131072 + n.nt window o as (partition by w order by idx)),
     least as (select w, min(m) m, arg_min(idx, m::bigint * 4294967296 + idx) first_idx from pairs group by w),
-    hits as (
-      select p.w, p.idx, l.first_idx, p.safe, p.idx - row_number() over (partition by p.w order by p.idx) run
-      from pairs p join least l on l.w = p.w and l.m = p.m),
+    reach as (
+      select q.w, q.idx, q.m, q.idx - row_number() over (partition by q.w, q.m order by q.idx) run,
+        least(coalesce(m_before, 2147483647), coalesce(l.m, 2147483647)) a, least(coalesce(m_after, 2147483647), coalesce(r.m, 2147483647)) b,
+        least(coalesce(lx.m, 2147483647), coalesce(l2.m, 2147483647), coalesce(rx.m, 2147483647), coalesce(r2.m, 2147483647)) c
+      from pairs q
+      left join lefts l on l.k = (q.p * 131072 + q.x) * 131072 + (q.tok & 131071)
+      left join rights r on r.k = (q.nt * 131072 + q.y) * 256 + q.z
+      left join merges lx on lx.ab = q.x * 131072 + q.m
+      left join lefts l2 on l2.k = (q.p * 131072 + q.x) * 131072 + q.m
+      left join merges rx on rx.ab = q.m::bigint * 131072 + q.y
+      left join rights r2 on r2.k = (q.m::bigint * 131072 + q.y) * 256 + q.z
+      where q.m is not null),
     chosen as materialized (
-      select w, idx from (select *, row_number() over (partition by w, run order by idx) nth from hits)
-      where (safe and nth % 2 = 1) or (not safe and idx = first_idx))
-    select p.w, p.pos, case when c.idx is not null then p.m else p.tok end, l.m is not null
-    from pairs p join least l on l.w = p.w
-    left join chosen c on c.w = p.w and c.idx = p.idx
-    left join chosen d on d.w = p.w and d.idx = p.idx - 1
-    where d.idx is null))
-select w, pos, tok from state where not live
+      select w, idx from (
+        select w, idx, row_number() over (partition by w, m, run order by idx) nth,
+          bool_and(a >= m and b >= m and c > m) over (partition by w, m, run) and first_value(a > m) over (partition by w, m, run order by idx) free from reach)
+      where free and nth % 2 = 1
+      union select w, first_idx from least where m is not null),
+    marked as (
+      select q.*, c.idx is not null hit, lag(c.idx) over (partition by q.w order by q.idx) is not null gone, l.m is not null more
+      from pairs q join least l on l.w = q.w left join chosen c on c.w = q.w and c.idx = q.idx)
+    select w, pos, case when hit then code else tok end, more from marked where not gone))
+select w, pos, (tok & 131071)::int tok from state where not live
 """
 
-#: A word's ids as text, their number, and the bytes that the vocabulary gives for them, in order.
+#: A word's ids in order, and the bytes that the vocabulary gives for them.
 _READ = """
-select t.w, array_to_string(list(t.tok order by t.pos), ',') ids, count(*) n, array_to_string(list(v.piece order by t.pos), '') piece
+select t.w, list(t.tok order by t.pos) ids, list(v.piece order by t.pos) pieces
 from ({rows}) t join vocab v on v.id = t.tok group by t.w order by t.w
 """
 
 
 class Codec:
-    """Encoder and decoder over one rank file; one in a worker process."""
+    """Encoder and decoder over one rank file; one in a worker process.  A result has two columns: ids, and the bytes decoded from them."""
 
-    def __init__(self, rank_file: str, pattern: str, cache: int = CACHE):
+    def __init__(self, rank_file: str, pattern: str, cache: int = GENERATION):
         import duckdb
         import regex
 
         with open(rank_file, "rb") as lines:
             self.ranks = {base64.b64decode(a): int(b) for a, b in (x.split() for x in lines if x.strip())}
+        if max(self.ranks.values(), default=0) >= 1 << 17:
+            raise ValueError("the merge table's keys hold ranks below 131072")
         self.pattern = regex.compile(pattern)
-        self.words, self.spans = Recent(cache), Recent(cache)
-        unsafe: set[int] = set()
+        self.store = Store([pa.LargeListArray.from_arrays([0], pa.array([], pa.int32())), pa.array([], pa.large_binary())], cache)
+        lefts: dict[int, int] = {}
+        rights: dict[int, int] = {}
+        code = {r: r | t[0] << 17 | t[-1] << 25 for t, r in self.ranks.items()}
         left, right, rank = [], [], []
         for token, r in self.ranks.items():
             for i in range(1, len(token)):
                 a, b = self.ranks.get(token[:i]), self.ranks.get(token[i:])
-                unsafe.update(x for x in (a, b) if x is not None and x > r)
                 if a is not None and b is not None:
                     left.append(a), right.append(b), rank.append(r)
+                    for j in range(1, i):  # what stands there so far is the end of the left part, after byte j - 1
+                        if (x := self.ranks.get(token[j:i])) is not None:
+                            k = (token[j - 1] << 34) + (x << 17) + b
+                            lefts[k] = min(r, lefts.get(k, r))
+                    for j in range(i + 1, len(token)):
+                        if (y := self.ranks.get(token[i:j])) is not None:
+                            k = (a << 25) + (y << 8) + token[j]
+                            rights[k] = min(r, rights.get(k, r))
         self.byte = np.array([self.ranks[bytes([i])] for i in range(256)], np.int32)
+        # Spilled rows are the query's own scratch, so they may lie in the executor's temporary folder.
         self.db = duckdb.connect(config={"threads": 1, "memory_limit": "200MB", "temp_directory": os.path.join(os.environ.get("TMPDIR", "/tmp"), "linseg-duckdb")})
-        self._table("merges", {"ab": np.array(left, np.int64) * 131072 + np.array(right, np.int64), "m": np.array(rank, np.int32), "safe": pa.array([x not in unsafe for x in rank])})
-        #: A byte stands as the character of the same number, so that bytes need no valid UTF-8.
-        self._table("vocab", {"id": np.array(list(self.ranks.values()), np.int32), "piece": [x.decode("latin-1") for x in self.ranks]})
+        self._table("merges", {"ab": np.array(left, np.int64) * 131072 + np.array(right, np.int64), "m": np.array(rank, np.int32), "code": np.array([code[r] for r in rank], np.int64)})
+        self._table("lefts", {"k": np.array(list(lefts), np.int64), "m": np.array(list(lefts.values()), np.int32)})
+        self._table("rights", {"k": np.array(list(rights), np.int64), "m": np.array(list(rights.values()), np.int32)})
+        self._table("codes", {"id": np.array(list(code), np.int32), "code": np.array(list(code.values()), np.int64)})
+        self._table("vocab", {"id": np.array(list(self.ranks.values()), np.int32), "piece": pa.array(list(self.ranks), pa.binary())})
 
     def _table(self, name: str, cols: dict) -> None:
         self.db.register("given", pa.table(cols))
         self.db.execute(f"create or replace table {name} as select * from given")
         self.db.unregister("given")
 
-    def _contract(self, words: list[bytes], query: str) -> Iterator[tuple[bytes, int, bytes]]:
+    def _read(self, rows: str) -> tuple[np.ndarray, list[pa.Array]]:
+        """Words with a token, ascending, and their results."""
+        got = self.db.sql(_READ.format(rows=rows)).to_arrow_table().combine_chunks()
+        if not len(got):
+            return np.zeros(0, np.int64), self.store.empty
+        w, ids, parts = (c.chunk(0) for c in got.columns)
+        n = np.diff(ids.offsets.to_numpy()).astype(np.int64)
+        flat = parts.flatten().cast(pa.large_binary())
+        ends = np.concatenate([[0], np.cumsum(run_lengths(flat))])[np.concatenate([[0], np.cumsum(n)])].astype(np.int64)
+        back = pa.LargeBinaryArray.from_buffers(pa.large_binary(), len(n), [None, pa.py_buffer(ends), pa.py_buffer(np.ascontiguousarray(payload(flat)))])
+        return w.to_numpy(), [ragged(ids.flatten().to_numpy().astype(np.int32), n), back]
+
+    def _contract(self, words: list[bytes], query: str) -> list[pa.Array]:
         lengths = np.array([len(x) for x in words])
         flat = np.frombuffer(b"".join(words), np.uint8)
         ends = np.cumsum(lengths)
@@ -135,39 +175,57 @@ class Codec:
             "pos": (np.arange(len(flat)) - np.repeat(ends - lengths, lengths)).astype(np.int32),
             "tok": self.byte[flat],
         }))
-        got = self.db.sql(_READ.format(rows=query)).to_arrow_table()
+        _, out = self._read(query)
         self.db.unregister("word_rows")
-        for ids, n, piece in zip(got["ids"].to_pylist(), got["n"].to_pylist(), got["piece"].to_pylist(), strict=True):
-            yield ids.encode(), n, piece.encode("latin-1")
+        return out
 
-    def learn_words(self, words: list[bytes]) -> None:
-        """Remembers for each word (a match of the pattern, not empty): decimal ids joined by commas, their number, the bytes decoded from them."""
-        known, short, long = self.words.new, [], []
-        for x in words:
+    def _learn_words(self, words: list) -> None:
+        """Adds each word's results; words are keys of matches of the pattern."""
+        whole, short, long = [], [], []
+        for k in words:
+            x = (" " + k if isinstance(k, str) else k[0]).encode()
             if (r := self.ranks.get(x)) is not None:
-                known[x] = (b"%d" % r, 1, x)
+                whole.append((k, r, x))
             else:
-                (short if len(x) <= LONG else long).append(x)
+                (short if len(x) <= LONG else long).append((k, x))
+        if whole:
+            keys, ids, back = zip(*whole, strict=True)
+            self.store.new.add(keys, [ragged(np.array(ids, np.int32), np.ones(len(ids), np.int64)), pa.array(back, pa.large_binary())])
         for at, query in ((short, _CONTRACT), (long, _CONTRACT_LONG)):
-            for lo in range(0, len(at), BATCH):
-                known.update(zip(part := at[lo : lo + BATCH], self._contract(part, query), strict=True))
+            lo = 0
+            while lo < len(at):  # a batch is bounded by its words and by its bytes; a longer word stands alone
+                hi = lo + 1
+                size = len(at[lo][1])
+                while hi < len(at) and hi - lo < BATCH and size + len(at[hi][1]) <= BATCH_BYTES:
+                    size += len(at[hi][1])
+                    hi += 1
+                keys, texts_ = zip(*at[lo:hi], strict=True)
+                self.store.new.add(keys, self._contract(list(texts_), query))
+                lo = hi
 
-    def decode(self, ids: list[np.ndarray]) -> list[bytes]:
-        """Bytes of each id sequence, by ordered aggregation."""
-        out = [b""] * len(ids)
-        if not (total := sum(map(len, ids))):
-            return out
-        lengths = np.array([len(x) for x in ids])
-        self.db.register("id_rows", pa.table({"w": np.repeat(np.arange(len(ids), dtype=np.int32), lengths), "pos": np.arange(total, dtype=np.int64), "tok": np.concatenate(ids).astype(np.int32)}))
-        got = self.db.sql(_READ.format(rows="from id_rows")).to_arrow_table()
-        self.db.unregister("id_rows")
-        for w, piece in zip(got["w"].to_pylist(), got["piece"].to_pylist(), strict=True):
-            out[w] = piece.encode("latin-1")
-        return out
+    def _learn(self, spans: list) -> None:
+        """Adds each stretch's results: those of its matches, end to end; a stretch of one match is that word."""
+        find = self.pattern.findall
+        several, parts, words = [], [], set()
+        for s in spans:
+            p = find(" " + s if isinstance(s, str) else s[0])
+            if len(p) == 1:
+                words.add(s)
+            else:
+                p = [m[1:] if m[0] == " " and len(m) > 1 else (m,) for m in p]
+                several.append(s)
+                parts.append(p)
+                words.update(p)
+        if unknown := self.store.missing(words):
+            self._learn_words(unknown)
+        if several:
+            place = self.store.new.place
+            at = np.array([place[m] for p in parts for m in p], np.int64)
+            self.store.new.add(several, joined(self.store.new.columns, at, np.fromiter(map(len, parts), np.int64, len(parts))))
 
     def rest(self) -> None:
-        """Gives memory back between tasks."""
-        self.words, self.spans = Recent(self.words.size), Recent(self.spans.size)
+        """Gives memory back between tasks; the newer generation stays for the next one."""
+        self.store.rest()
         release_memory()
 
     def keys(self, text: str) -> list:
@@ -175,60 +233,40 @@ class Codec:
         if not text:
             return []
         if _RUN.search(text):
-            return [(x,) for x in _STRETCH.findall(text)]
+            return [x[1:] if x[0] == " " and len(x) > 1 else (x,) for x in _STRETCH.findall(text)]
         head, *rest = text.split(" ")
         return [(head,), *rest] if head else rest
 
-    def _learn(self, spans: list) -> None:
-        find = self.pattern.findall
-        parts = [[m.encode() for m in find(" " + s if isinstance(s, str) else s[0])] for s in spans]
-        self.words.turn()
-        if unknown := self.words.missing({x for p in parts for x in p}):
-            self.learn_words(unknown)
-        words, known = self.words.new, self.spans.new
-        for s, p in zip(spans, parts, strict=True):
-            if len(p) == 1:
-                known[s] = words[p[0]]
-            else:
-                a, n, b = zip(*[words[x] for x in p], strict=True)
-                known[s] = (b",".join(a), sum(n), b"".join(b))
-
-    def encode(self, group: list[str]) -> Iterator[tuple[bytes, int, bytes]]:
-        """For each text: decimal ids joined by commas, number of ids, bytes decoded from those ids."""
-        self.spans.turn()
-        get, keys = self.spans.new.get, [self.keys(x) for x in group]
-        got = [list(map(get, ks)) for ks in keys]
-        holes = [(g, ks, [j for j, v in enumerate(g) if v is None]) for g, ks in zip(got, keys, strict=True) if None in g]
-        if missing := self.spans.missing({ks[j] for _, ks, at in holes for j in at}):
-            self._learn(missing)
-        known = self.spans.new
-        for g, ks, at in holes:
-            for j in at:
-                g[j] = known[ks[j]]
-        for g in got:
-            yield b",".join([x[0] for x in g]), sum([x[1] for x in g]), b"".join([x[2] for x in g])
-
-
-class Recent:
-    """A map in two generations; when the newer one is full, the older one goes.  A batch's own keys always stay."""
-
-    def __init__(self, size: int):
-        self.size, self.new, self.old = size, {}, {}
-
-    def turn(self) -> None:
-        if len(self.new) > self.size:
-            self.old, self.new = self.new, {}
-
-    def missing(self, keys: set) -> list:
-        """Makes ``new`` hold every key that is known, and returns the others."""
-        new, old, rest = self.new, self.old, []
-        for key in keys:
-            if key not in new:
-                if (got := old.get(key)) is not None:
-                    new[key] = got
-                else:
-                    rest.append(key)
-        return rest
+    def encode(self, group: list[str]) -> list[pa.Array]:
+        """For each text: its ids, and the bytes decoded from them."""
+        at, n = of_texts(self.store, [self.keys(x) for x in group], self._learn)
+        return joined(self.store.new.columns, at, n)
+
+    def decode(self, ids: list[np.ndarray]) -> list[bytes]:
+        """Bytes of each id sequence, by ordered aggregation."""
+        out = [b""] * len(ids)
+        if not (total := sum(map(len, ids))):
+            return out
+        lengths = np.array([len(x) for x in ids])
+        self.db.register("id_rows", pa.table({"w": np.repeat(np.arange(len(ids), dtype=np.int32), lengths), "pos": np.arange(total, dtype=np.int64), "tok": np.concatenate(ids).astype(np.int32)}))
+        at, (_, back) = self._read("from id_rows")
+        self.db.unregister("id_rows")
+        for w, piece in zip(at.tolist(), back.to_pylist(), strict=True):
+            out[w] = piece
+        return out
+
+    def as_text(self, ids: pa.Array) -> pa.Array:
+        """Decimal ids joined by commas, of each list; each list still ends with a comma."""
+        if not hasattr(self, "decimals"):
+            self.decimals = pa.array([b"%d," % i for i in range(max(self.ranks.values(), default=0) + 1)], pa.large_binary())
+        return joined([self.decimals], payload(ids).astype(np.int64), run_lengths(ids))[0]
+
+
+def digests(x: pa.Array, drop: int = 0) -> list[str]:
+    """Lowercase SHA-256 of each binary value but for its last ``drop`` bytes."""
+    data = memoryview(np.ascontiguousarray(payload(x)))
+    ends = np.cumsum(run_lengths(x)).tolist()
+    return [hashlib.sha256(data[a : max(a, b - drop)]).hexdigest() for a, b in zip([0, *ends], ends)]
 
 
 @lru_cache(maxsize=2)
@@ -250,16 +288,10 @@ def encode(df: DataFrame, rank_file: str, pattern: str, id_col: str = "doc_id",
         gc.disable()  # the caches hold no cycles, and walking them costs more than all else
         c = codec(rank_file, pattern)
         for batch in batches:
-            rows = list(c.encode(texts(batch, "text")))
-            out = {
-                "doc_id": batch.column(0),
-                "n_tokens": [n for _, n, _ in rows],
-                "ids_sha256": [hashlib.sha256(x).hexdigest() for x, _, _ in rows],
-                "decoded_sha256": [hashlib.sha256(x).hexdigest() for _, _, x in rows],
-            }
+            ids, back = c.encode(texts(batch, "text"))
+            out = {"doc_id": batch.column(0), "n_tokens": pa.array(run_lengths(ids)), "ids_sha256": digests(c.as_text(ids), 1), "decoded_sha256": digests(back)}
             if with_ids:
-                flat = np.fromstring(b",".join([x for x, _, _ in rows if x]), np.int32, sep=",")
-                out["token_ids"] = pa.ListArray.from_arrays(np.cumsum([0, *out["n_tokens"]]).astype(np.int32), flat)
+                out["token_ids"] = ids.cast(pa.list_(pa.int32()))
             yield out
         c.rest()
 

@@ -3,12 +3,15 @@
 Documents are sorted by id over range partitions; each partition writes one shard of raw little-endian ids (two bytes
 an id where the vocabulary allows, else four) and one index file.  The index maps a document's key to its slot by
 a minimal perfect hash (levels of collision-free bits, ranked), and the slot holds a fingerprint of the key and the
-document's place; a key that isn't there is turned away by the fingerprint.  Files get their final names by a rename
+document's place; a key that isn't there is turned away by the fingerprint or, at last, by the key stored at that place.
+The manifest routes a key to its shard (``Folder``).  Files get their final names by a rename
 after they are whole, and the manifest names the files of the task attempt that counted, so a lost executor leaves
 no half shard behind.
 
 Defined results: a null text is empty and still gets the end id; rows without id come first; rows that share an id
-follow each other by text, and the key finds the first of them with their number; an empty table gives no rows.
+follow each other by text, and the key finds the first of them with their number; rows that are equal keep any order; an
+empty table gives no rows; texts of any length are encoded whole; the vocabulary's special strings are read as the library
+reads them by default; columns other than id and text are never read, whatever their names.
 """
 
 from __future__ import annotations
@@ -16,33 +19,35 @@ from __future__ import annotations
 import gc
 import io
 import os
+import re
 import struct
 import unicodedata
 import uuid
 import zlib
-from array import array
 from collections.abc import Iterable, Iterator
 from dataclasses import dataclass
 from functools import lru_cache
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyarrow import fs as pafs
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .bpe import Recent
-from .common import ensure_checkpoint_dir, pieces, texts
+from .common import ensure_checkpoint_dir, pieces, release_memory
+from .stretches import GENERATION, Store, joined, payload, ragged, run_lengths, split
 
 END_ID = 2
 #: Fixed values of the file format: magic, version, header of a shard (magic, version, bytes an id, documents, ids).
 MAGIC, VERSION = b"LTOK", 1
 _HEAD = "<4sIIQQ"
 GAMMA, LEVELS = 2.0, 24
-#: Words kept by each generation of the cache, and half the stretches.
-CACHE = 300_000
 #: Ids that the reader holds at once.
 READ_IDS = 4 << 20
+#: Stands for a document's end among its words; marks that are parted from an ASCII word before them.
+_END, _STOPS = ("end",), (".", ",")
 
 
 def _mix(keys: np.ndarray, seed: int) -> np.ndarray:
@@ -110,7 +115,7 @@ class Index:
     repeats: np.ndarray
 
     @classmethod
-    def build(cls, keys: list, lengths: list[int]) -> Index:
+    def build(cls, keys: list, lengths: np.ndarray) -> Index:
         unnamed = sum(k is None for k in keys)
         named = np.array(keys[unnamed:], np.int64)
         distinct, first, repeats = np.unique(named, return_index=True, return_counts=True)
@@ -119,7 +124,7 @@ class Index:
         slot = h.slots(distinct)
         prints, places, times = np.empty(len(distinct), np.uint16), np.empty(len(distinct), np.int64), np.empty(len(distinct), np.int64)
         prints[slot], places[slot], times[slot] = _fingerprint(distinct), first + unnamed, repeats
-        return cls(unnamed, np.concatenate([np.zeros(unnamed, np.int64), named]), np.concatenate([[0], np.cumsum(np.array(lengths, np.int64))]).astype(np.int64), h, prints, places, times)
+        return cls(unnamed, np.concatenate([np.zeros(unnamed, np.int64), named]), np.concatenate([[0], np.cumsum(np.asarray(lengths, np.int64))]).astype(np.int64), h, prints, places, times)
 
     def find(self, ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Place of each id's first document (-1: not there) and the number of documents with that id."""
@@ -127,6 +132,7 @@ class Index:
         slot = self.hash.slots(keys)
         good = slot >= 0
         good[good] = self.prints[slot[good]] == _fingerprint(keys[good])
+        good[good] = self.keys[self.places[slot[good]]] == keys[good].view(np.int64)  # one key in 65,536 shares another's fingerprint
         place, times = np.full(len(keys), -1, np.int64), np.zeros(len(keys), np.int64)
         place[good], times[good] = self.places[slot[good]], self.repeats[slot[good]]
         return place, times
@@ -168,31 +174,32 @@ def open_folder(uri: str) -> tuple[pafs.FileSystem, str]:
 
 
 class Encoder:
-    """Ids of a text as raw bytes; a stretch between spaces is encoded once while it is in the cache.
+    """Ids of texts; a stretch between ASCII white space is encoded once while it is in the store.
 
-    The tokenizer drops white space and no match of its pattern, composition or case rule crosses a space, so the
+    The tokenizer drops white space and no match of its pattern, composition or case rule crosses any, so the
     stretches' ids joined are the text's.  Neither does a match cross from a letter to a full stop or comma, and ASCII
-    text has one lower case: stretches that differ in those share the ids of their word.
+    text has one lower case: stretches that differ in those share the ids of their word.  Special tokens' strings, which
+    the library finds before it folds case, are left to it.
     """
 
-    def __init__(self, tokenizer_file: str):
+    def __init__(self, tokenizer_file: str, end_id: int = END_ID, cache: int = 2 * GENERATION):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
         self.tok = Tokenizer.from_file(tokenizer_file)
-        self.tok.encode_special_tokens = True
-        self.code, self.kind = ("H", "<u2") if self.tok.get_vocab_size() <= 1 << 16 else ("I", "<u4")
-        self.ends = np.zeros(self.tok.get_vocab_size(), bool)
-        self.ends[[i for t, i in self.tok.get_vocab().items() if t.endswith("</w>")]] = True
-        self.known, self.words = Recent(2 * CACHE), Recent(CACHE)
-
-    def _each(self, group: list[str]) -> list[bytes]:
-        return [array(self.code, e.ids).tobytes() for e in self.tok.encode_batch_fast(group, add_special_tokens=False)]
-
-    def _raw(self, group: list[str]) -> dict[str, bytes]:
-        """Ids of each stretch.  One of letters only is one match of the pattern, whose last token alone ends a word: such stretches are encoded together and parted there."""
-        plain = [s for s in group if s.isalpha() and (s.isascii() or unicodedata.normalize("NFC", s).lower().isalpha())]
-        out, rest = {}, set(group).difference(plain)
+        self.kind = "<u2" if max(self.tok.get_vocab_size(), end_id + 1) <= 1 << 16 else "<u4"
+        vocab = self.tok.get_vocab()
+        self.ends = np.zeros(max(vocab.values()) + 1, bool)
+        self.ends[[i for t, i in vocab.items() if t.endswith("</w>")]] = True
+        self.odd = "|".join(re.escape(x.content) for x in self.tok.get_added_tokens_decoder().values()) or r"[^\x00-\x{10FFFF}]"
+        self.end_id = end_id
+        self.store = Store([ragged(np.zeros(0, self.kind), np.zeros(0, np.int64))], cache)
+
+    def _learn(self, group: list) -> None:
+        """A word of letters only is one match of the pattern, whose last token alone ends a word: such words are encoded together and parted there."""
+        words = [s for s in group if isinstance(s, str)]
+        plain = [s for s in words if s.isalpha() and (s.isascii() or unicodedata.normalize("NFC", s).lower().isalpha())]
+        keys, rest, flat, sizes = [], set(words).difference(plain), [], []
         for lo in range(0, len(plain), 4000):
             part = plain[lo : lo + 4000]
             ids = np.array(self.tok.encode(" ".join(part), add_special_tokens=False).ids, self.kind)
@@ -200,45 +207,55 @@ class Encoder:
             if len(cut) != len(part):
                 rest.update(part)
                 continue
-            raw, at = ids.tobytes(), (cut * ids.itemsize).tolist()
-            out.update((s, raw[a:b]) for s, a, b in zip(part, [0, *at], at))
+            keys += part
+            flat.append(ids)
+            sizes.append(np.diff(cut, prepend=0))
         rest = list(rest)
         for lo in range(0, len(rest), 20_000):
-            out.update(zip(rest[lo : lo + 20_000], self._each(rest[lo : lo + 20_000]), strict=True))
-        return out
-
-    def _learn(self, stretches: list[str]) -> None:
-        self.words.turn()
-        parts = []
-        for s in stretches:
-            end = ""
-            if s.isascii():
-                s = s.lower()
-                if s[-1:] in (".", ",") and s[-2:-1].isalpha():
-                    s, end = s[:-1], s[-1]
-            parts.append((s, end))
-        unknown = self.words.missing({w for p in parts for w in p})
-        words = self.words.new
-        words.update(self._raw(unknown))
-        self.known.new.update((s, words[w] + words[end]) for s, (w, end) in zip(stretches, parts, strict=True))
-
-    def encode(self, group: list[str]) -> list[bytes]:
-        self.known.turn()
-        get, keys = self.known.new.get, [x.split(" ") for x in group]
-        got = [list(map(get, ks)) for ks in keys]
-        holes = [(g, ks, [j for j, v in enumerate(g) if v is None]) for g, ks in zip(got, keys, strict=True) if None in g]
-        if missing := self.known.missing({ks[j] for _, ks, at in holes for j in at}):
-            self._learn(missing)
-        known = self.known.new
-        for g, ks, at in holes:
-            for j in at:
-                g[j] = known[ks[j]]
-        return [b"".join(g) for g in got]
+            got = [e.ids for e in self.tok.encode_batch_fast(rest[lo : lo + 20_000], add_special_tokens=False)]
+            keys += rest[lo : lo + 20_000]
+            flat.append(np.fromiter(chain.from_iterable(got), self.kind))
+            sizes.append(np.fromiter(map(len, got), np.int64, len(got)))
+        if len(words) < len(group):
+            keys.append(_END)
+            flat.append(np.array([self.end_id], self.kind))
+            sizes.append(np.ones(1, np.int64))
+        self.store.new.add(keys, [ragged(np.concatenate(flat).astype(self.kind), np.concatenate(sizes))])
+
+    def encode(self, group: pa.Array) -> pa.Array:
+        """Ids of each text (null: empty), with the end id."""
+        found, code, n = split(pc.ascii_split_whitespace(pc.fill_null(group, "")))
+        plain = pc.and_not(pc.string_is_ascii(found), pc.match_substring_regex(found, self.odd, ignore_case=True))
+        low = pc.if_else(plain, pc.ascii_lower(found), found)
+        tail = pc.and_(plain, pc.match_substring_regex(low, r"[a-z][.,]\z"))
+        words = pc.if_else(tail, pc.utf8_slice_codeunits(low, 0, -1), low).dictionary_encode()
+        keys = words.dictionary.to_pylist()
+        at = [pc.index(words.dictionary, x).as_py() for x in _STOPS]
+        more = [x for x, i in zip(_STOPS, at, strict=True) if i < 0]
+        place = self.store.places([*keys, *more, _END], self._learn)
+        stops, end = place[[i if i >= 0 else len(keys) + more.index(x) for x, i in zip(_STOPS, at, strict=True)]], place[-1]
+        first = place[words.indices.to_numpy()]
+        tail = tail.to_numpy(zero_copy_only=False)
+        second = stops[pc.ends_with(low, _STOPS[1]).to_numpy(zero_copy_only=False).astype(np.int64)]
+        parts = 1 + tail[code].astype(np.int64)
+        ends = np.concatenate([[0], np.cumsum(parts)])
+        edges = ends[np.cumsum(n)]  # of the texts, among the words
+        total = np.diff(edges, prepend=0) + 1
+        out = np.full(int(total.sum()), end)
+        start = ends[:-1] + np.repeat(np.arange(len(n)), n)
+        out[start] = first[code]
+        two = tail[code]
+        out[start[two] + 1] = second[code[two]]
+        return joined(self.store.new.columns, out, total)[0]
+
+    def rest(self) -> None:
+        self.store.rest()
+        release_memory()
 
 
 @lru_cache(maxsize=2)
-def encoder(tokenizer_file: str) -> Encoder:
-    return Encoder(tokenizer_file)
+def encoder(tokenizer_file: str, end_id: int = END_ID) -> Encoder:
+    return Encoder(tokenizer_file, end_id)
 
 
 _MANIFEST = "shard string, least long, unnamed long, n_docs long, n_tokens long"
@@ -249,21 +266,22 @@ def write(docs: DataFrame, tokenizer_file: str, folder: str, id_col: str = "doc_
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         gc.disable()
-        e = encoder(tokenizer_file)
+        e = encoder(tokenizer_file, end_id)
         fs, root = open_folder(folder)
         name, keys, lengths = f"shard-{uuid.uuid4().hex}", [], []
-        end, width, out = np.array([end_id], e.kind).tobytes(), np.dtype(e.kind).itemsize, None
+        width, out = np.dtype(e.kind).itemsize, None
         for batch in pieces(batches, "text"):
             if out is None:
                 fs.create_dir(root, recursive=True)
                 out = fs.open_output_stream(f"{root}/{name}.part")
-            for key, ids in zip(batch.column(0).to_pylist(), e.encode(texts(batch, "text")), strict=True):
-                out.write(ids + end)
-                keys.append(key)
-                lengths.append(len(ids) // width + 1)
+            ids = e.encode(batch.column(1))
+            out.write(memoryview(payload(ids)).cast("B"))
+            keys += batch.column(0).to_pylist()
+            lengths.append(run_lengths(ids))
         if out is None:
             return
-        index = Index.build(keys, lengths)
+        e.rest()
+        index = Index.build(keys, np.concatenate(lengths))
         out.write(struct.pack(_HEAD, MAGIC, VERSION, width, len(keys), int(index.offsets[-1])))  # at the end: a stream can't go back
         out.close()
         with fs.open_output_stream(f"{root}/{name}.idx") as f:
@@ -309,6 +327,25 @@ class Shard:
         return [self.read(int(o[i]), int(o[i + 1])) for i in range(place, place + times)] if place >= 0 else []
 
 
+class Folder:
+    """Keyed access to all shards of a folder: the key's shard is found by the manifest, which is one row a shard, and opened once."""
+
+    def __init__(self, spark: SparkSession, folder: str):
+        rows = [r for r in manifest(spark, folder).orderBy("start").collect() if r.least is not None]
+        self.folder, self.least, self.names = folder, np.array([r.least for r in rows], np.int64), [r.shard for r in rows]
+        self.open: dict[str, Shard] = {}
+
+    def get(self, doc_id: int) -> list[np.ndarray]:
+        """The ids of the documents with this id; empty if there is none.  Equal ids share a shard, for shards are ranges of ids."""
+        at = int(np.searchsorted(self.least, doc_id, "right")) - 1
+        if at < 0:
+            return []
+        name = self.names[at]
+        if name not in self.open:
+            self.open[name] = Shard(self.folder, name)
+        return self.open[name].get(doc_id)
+
+
 def read_back(shards: DataFrame, folder: str) -> DataFrame:
     """Per document, from the files: doc_id, start, n_tokens, ids_crc32.  Every named document is found through its key."""
 
