@@ -62,18 +62,28 @@ def refine_then_merge(signal: Linear, k: int, k_init: int | None = None, gamma:
     return refine(signal, cuts, gamma, **options) if polish else (cuts, trace)
 
 
+def unit_noise(signal: Linear) -> Linear:
+    """The signal with each dimension divided by the noise that its second differences show, so that scales don't mix."""
+    second = np.diff(signal.x, 2, axis=0)
+    noise = np.median(second**2, axis=0) / 6 / 0.4549 if len(second) else np.ones(signal.d)
+    spread = signal.x.var(0)
+    noise = np.where(noise > 1e-12 * spread, noise, np.where(spread > 0, 1e-6 * spread, 1.0))  # a dimension without noise keeps its cuts
+    out = type(signal)(signal.raw_t, signal.x / np.sqrt(noise))
+    out.count = signal.count
+    return out
+
+
 def unknown_k(signal: Linear, beta: float | None = None, k_max: int = 20, gamma: int = GAMMA, **options) -> tuple[np.ndarray, list[float]]:
     """Number of pieces by cost + beta * pieces along the merge path, then a polish.
 
-    beta defaults to 3 d log(N) times the noise variance that second differences show.
+    Without beta, every dimension is measured by its own noise and a piece costs 3 d log(N).
     """
     k_max = max(1, min(k_max, signal.n // gamma))
+    if beta is None:
+        signal = unit_noise(signal)
+        beta = 3 * signal.d * float(np.log(max(signal.n, 2)))
     cuts, _ = refine(signal, uniform(signal.n, over_size(signal.n, k_max, gamma)), gamma, **options)
     cuts, _ = merge(signal, cuts, k_max)
-    if beta is None:
-        second = np.diff(signal.x, 2, axis=0)
-        noise = float(np.median(second**2) / 6 / 0.4549) if len(second) else 0.0
-        beta = 3 * signal.d * np.log(max(signal.n, 2)) * noise
     best, chosen = signal.model_cost(cuts) + beta * (len(cuts) - 1), cuts
     while len(cuts) > 2:
         cuts, _ = merge(signal, cuts, len(cuts) - 2)

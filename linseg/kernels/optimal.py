@@ -6,11 +6,10 @@ from itertools import combinations
 
 import numpy as np
 
-from .moments import Linear
+from .moments import Linear, Unfit
 from .refine import GAMMA, partitions, refine
 
 TABLE_BYTES = 512 << 20
-MOST_CELLS = 5000
 
 
 def table(signal: Linear, k: int, gamma: int = GAMMA, grid: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -18,7 +17,7 @@ def table(signal: Linear, k: int, gamma: int = GAMMA, grid: np.ndarray | None =
     grid = np.arange(signal.n + 1) if grid is None else np.asarray(grid)
     m = len(grid)
     if k * m * 12 > TABLE_BYTES:
-        raise ValueError("the table would be too large; use dynamic programming over cells")
+        raise Unfit("the table would be too large; use dynamic programming over cells")
     best, back = np.full((k + 1, m), np.inf), np.zeros((k + 1, m), np.int32)
     best[0, 0] = 0.0
     for e in range(1, m):
@@ -50,19 +49,26 @@ def optimal_path(signal: Linear, k_max: int, gamma: int = GAMMA) -> list[tuple[i
 
 
 def penalized_optimal(signal: Linear, beta: float, gamma: int = GAMMA) -> np.ndarray:
-    """Least cost + beta * pieces; a start is dropped once it can't win any later end."""
+    """Least cost + beta * pieces.
+
+    A start that does worse up to e than a cut at e would can't win an end where a piece may start at e, from e + gamma on;
+    it is dropped there, not before.
+    """
     n = signal.n
     best, back = np.full(n + 1, np.inf), np.zeros(n + 1, int)
     best[0] = -beta
     live = np.array([0])
+    until = np.full(n + 1, n + 1)
     slack = 1e-9 * signal.total
     for e in range(gamma, n + 1):
+        live = live[until[live] > e]
         ready = live[live <= e - gamma]
         sums = best[ready] + signal.cost(ready, e)
         at = int(np.argmin(sums))
         best[e], back[e] = sums[at] + beta, ready[at]
-        keep = ready[sums <= best[e] + slack]
-        live = np.concatenate([keep, live[live > e - gamma], [e]])
+        beaten = ready[sums > best[e] + slack]
+        until[beaten] = np.minimum(until[beaten], e + gamma)
+        live = np.append(live, e)
     out = [n]
     while out[-1] > 0:
         out.append(int(back[out[-1]]))
@@ -90,7 +96,7 @@ def penalized_for_k(signal: Linear, k: int, gamma: int = GAMMA, steps: int = 60)
 def brute_force(signal: Linear, k: int, gamma: int = GAMMA, limit: int = 1_000_000) -> np.ndarray:
     n = signal.n
     if partitions(n, k, gamma) > limit:
-        raise ValueError("too many partitions for exhaustive search")
+        raise Unfit("too many partitions for exhaustive search")
     at = np.arange(n + 1)
     cost = np.full((n + 1, n + 1), np.inf)
     for e in range(gamma, n + 1):
@@ -148,14 +154,9 @@ def balanced_cells(signal: Linear, budget: float) -> np.ndarray:
 
 
 def cell_edges(signal: Linear, k: int, sf: float | str = 50) -> tuple[np.ndarray, float]:
-    """Edges of the balanced cells and the factor in effect; more than MOST_CELLS cells double the budget."""
+    """Edges of the balanced cells and the factor."""
     factor = 100 * np.log2(max(signal.n, 2)) if sf == "log" else float(sf)
-    scale = bicriteria(signal, k)[0]
-    edges = balanced_cells(signal, scale / (k * factor))
-    while len(edges) > MOST_CELLS + 1:
-        factor /= 2
-        edges = balanced_cells(signal, scale / (k * factor))
-    return edges, factor
+    return balanced_cells(signal, bicriteria(signal, k)[0] / (k * factor)), factor
 
 
 def compress_svd(points: np.ndarray) -> np.ndarray:

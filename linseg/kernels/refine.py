@@ -55,7 +55,7 @@ def pair_order(pairs: int, order: str, seed, sweep: int) -> list[int]:
     if order == "odd_even":
         return [*range(0, pairs, 2), *range(1, pairs, 2)]
     if order == "seeded_shuffle":
-        return np.random.default_rng([int(draw(seed, "order") * 2**32), sweep]).permutation(pairs).tolist()
+        return sorted(range(pairs), key=lambda p: (draw(seed, "order", sweep, p), p))
     raise ValueError(f"unknown order {order!r}")
 
 

@@ -18,6 +18,7 @@ from pyspark.sql import functions as F
 
 from ..kernels import merging
 from ..kernels.refine import GAMMA, SWEEPS, TOL, over_size, uniform
+from ..sources.tables import cut_lineage
 
 BLOCK = 65_536
 #: Block rows that may come to the driver (about a hundred bytes a dimension each).
@@ -197,8 +198,8 @@ def refine_then_merge(blocks: Blocks, k: int, gamma: int = GAMMA, size: int | No
     return merge(blocks, cuts, k), trace
 
 
-def bottom_up(blocks: Blocks, k: int, cells: int = 4096) -> list[int]:
-    """Greedy merging of even cells whose moments come from one aggregate."""
+def bottom_up(blocks: Blocks, k: int, cells: int) -> list[int]:
+    """Greedy merging from so many even cells, whose moments come from one aggregate and fit the driver; ``bottom_up_rounds`` takes any number."""
     return merge(blocks, uniform(blocks.n, min(cells, max(k, blocks.n // 2))).tolist(), k)
 
 
@@ -209,17 +210,16 @@ def bottom_up_rounds(sig: DataFrame, d: int, delta: int, k: int, few: int = 64)
     checkpointed, until every signal has ``few`` (at least 2k) or less; those go to the strict merge, which leaves k
     (all cells where there are fewer).  Returns signal_id, cell (its first place), moments.
     """
-    from ..llm.common import cut
     from .fit import moments
 
     few = max(few, 2 * k)
-    cells = cut(moments(sig.withColumn("cell", F.floor(F.col("pos") / delta) * delta), d, ["signal_id", "cell"]))
+    cells = cut_lineage(moments(sig.withColumn("cell", F.floor(F.col("pos") / delta) * delta), d, ["signal_id", "cell"]))
     before = None
     while True:
         most, now = cells.groupBy("signal_id").count().agg(F.max("count"), F.sum("count")).first()
         if most is None or most <= few or now == before:
             break
-        before, cells = now, cut(_round(cells, d, few))
+        before, cells = now, cut_lineage(_round(cells, d, few))
     return cells.groupBy("signal_id").applyInPandas(lambda p: _strict(p, d, k), cells.schema)
 
 

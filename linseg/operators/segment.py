@@ -12,7 +12,7 @@ from pyspark.sql import types as T
 from pyspark.sql.pandas.types import to_arrow_schema
 
 from ..kernels import merging, optimal, refine, splits
-from ..kernels.moments import COSTS, Linear
+from ..kernels.moments import COSTS, Linear, Unfit
 from ..spec import PIECES
 
 _OPTIONS = ("gamma", "tol", "max_iter", "order", "seed")
@@ -76,7 +76,14 @@ EXACTNESS = {"optimal_partition": "exact", "penalized_optimal": "exact", "brute_
 
 
 def run(t: np.ndarray, x: np.ndarray, k: int, method: str, cost: str = "l2_linear", on_infeasible: str = "error", **options) -> dict:
-    """One signal, numpy only.  Infeasible k is clamped to what fits, or reported as an error."""
+    """One signal, numpy only.  Infeasible k is clamped to what fits, or reported as an error, and so is a signal too large for the method."""
+    try:
+        return _run(t, x, k, method, cost, on_infeasible, **options)
+    except Unfit as e:
+        return {"error": str(e)}
+
+
+def _run(t: np.ndarray, x: np.ndarray, k: int, method: str, cost: str, on_infeasible: str, **options) -> dict:
     gamma = options.get("gamma", 2)
     fits = max(1, len(t) // gamma)
     if k > fits and method not in ("unknown_k", "one_piece"):
@@ -86,7 +93,7 @@ def run(t: np.ndarray, x: np.ndarray, k: int, method: str, cost: str = "l2_linea
     t0 = time.perf_counter()
     coarse = options.pop("coarse", 1)
     if coarse > 1:  # search on every coarse-th point, then polish on all
-        rough = run(t[::coarse], x[::coarse], k, method, cost, "clamp", **options)
+        rough = _run(t[::coarse], x[::coarse], k, method, cost, "clamp", **options)
         s = COSTS[cost](t, x)
         got = _result(*refine.refine(s, np.minimum(rough["cuts"] * coarse, s.n), **_refining(options)))
     else:

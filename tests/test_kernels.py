@@ -152,3 +152,49 @@ def test_unknown_number_of_pieces():
     x = np.repeat(rng.normal(0, 5, (4, 3)), 75, axis=0) + rng.normal(0, 0.5, (300, 3))
     found, _ = merging.unknown_k(Linear(np.arange(300.0), x))
     assert found.tolist() == [0, 75, 150, 225, 300]
+
+
+@pytest.mark.parametrize("gamma", [2, 3, 5, 10])
+def test_penalised_search_is_optimal_for_any_least_piece(gamma):
+    rng = np.random.default_rng(gamma)
+    for _ in range(60):
+        x = np.cumsum(rng.normal(size=(rng.integers(2 * gamma, 60), 1)), 0)
+        s = Linear(np.arange(len(x), dtype=float), x)
+        beta = float(rng.uniform(0.01, 1.0)) * s.one(0, s.n)
+        best = min(c + beta * k for k, c, _ in optimal.optimal_path(s, s.n // gamma, gamma))
+        cuts = optimal.penalized_optimal(s, beta, gamma)
+        assert s.model_cost(cuts) + beta * (len(cuts) - 1) == pytest.approx(best)
+        assert min(np.diff(cuts)) >= gamma
+
+
+@pytest.mark.parametrize("scales", [(1.0, 1.0), (10_000.0, 10.0), (1e-3, 5.0)])
+def test_unknown_k_with_dimensions_of_unlike_scale(scales):
+    rng = np.random.default_rng(1)
+    for _ in range(12):
+        x = rng.normal(size=(100, 2)) * scales
+        assert len(merging.unknown_k(Linear(np.arange(100.0), x), k_max=6)[0]) == 2
+        x[40:] += 8 * np.array(scales)
+        cuts = merging.unknown_k(Linear(np.arange(100.0), x), k_max=6)[0]
+        assert len(cuts) == 3 and abs(cuts[1] - 40) <= 1
+
+
+def test_one_range_costs_what_many_cost():
+    t, x, _ = planted(3, 80, 3, 4)
+    for kind in (Linear, Constant):
+        s = kind(t, x)
+        for a in range(0, 80, 7):
+            for b in range(a, 81, 5):
+                assert s.one(a, b) == pytest.approx(float(s.cost(a, b)), rel=1e-9, abs=1e-9)
+
+
+def test_signals_that_do_not_fit_give_error_rows():
+    t, x = np.arange(500.0), np.random.default_rng(0).normal(size=(500, 1))
+    assert "absolute" in run(t, x, 2, "binary_split", "l1_linear")["error"]
+    assert "too many" in run(t, x, 6, "brute_force")["error"]
+
+
+def test_cells_are_never_capped():
+    rng = np.random.default_rng(0)
+    s = Linear(np.arange(30_000.0), rng.normal(size=(30_000, 1)))
+    edges, factor = optimal.cell_edges(s, 2, 100_000)
+    assert factor == 100_000 and len(edges) > 5001
