@@ -245,7 +245,7 @@ def test_pruning_changes_nothing():
     p = bm25._Postings()
     for i, b in enumerate(bags):
         p.add(i, b" ".join(bytes([t]) for t in b.elements()))
-    s = bm25.Shard(p.dump()[0], 30.0)
+    s = bm25.Shard(p.dump(), 30.0)
     for k in (1, 10):
         q = [b"a", b"q", b"z", b"!"]
         w = [3.0, 1.0, 0.2, 9.0]
