@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import contextlib
 import ctypes
+import hashlib
 import tempfile
 from collections.abc import Callable, Iterable, Iterator
 
@@ -116,3 +117,35 @@ def unit_hash(*cols) -> F.Column:
     """Uniform in [0, 1) from md5 of the columns joined by '|'; DuckDB can replay it."""
     joined = F.concat_ws("|", *[c.cast("string") if not isinstance(c, str) else F.lit(c) for c in cols])
     return F.conv(F.substring(F.md5(joined), 1, 12), 16, 10).cast("double") / F.lit(float(1 << 48))
+
+
+def text_digest(text: F.Column) -> F.Column:
+    """Names a text: md5 of its UTF-8 bytes, null as empty.  ``md5_of`` gives the same in Python."""
+    return F.md5(F.coalesce(text.cast("string"), F.lit("")).cast("binary"))
+
+
+def md5_of(text: bytes) -> str:
+    return hashlib.md5(text, usedforsecurity=False).hexdigest()
+
+
+def fresh(df: DataFrame, name: str) -> str:
+    """A column name that ``df`` doesn't have, in any letter case."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name += "_"
+    return name
+
+
+def one_of_each(df: DataFrame, named: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """Rows of ``df``, all columns unchanged, one for each root of ``named`` (doc_id, digest, root).
+
+    The row of least id stays, any id before none, then that of least text digest; of rows that agree in both, the one of
+    least hash over all columns.
+    """
+    order = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "digest")
+    best = named.groupBy("root").agg(F.min(order).alias("b")).select(F.col("b.doc_id").alias("i"), F.col("b.digest").alias("d")).distinct()
+    cols = [F.col(f"`{c}`") for c in df.columns]
+    rows = df.select(F.struct(*cols).alias("r"), F.col(f"`{id_col}`").cast("long").alias("i"), text_digest(F.col(f"`{text_col}`")).alias("d"))
+    kept = rows.join(best.withColumnsRenamed({"i": "bi", "d": "bd"}), (F.col("d") == F.col("bd")) & F.col("i").eqNullSafe(F.col("bi")), "left_semi")
+    one = kept.groupBy("i", "d").agg(F.min_by("r", F.xxhash64("r")).alias("r"))
+    return one.select(*[F.col("r").getField(c).alias(c) for c in df.columns])

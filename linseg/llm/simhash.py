@@ -9,7 +9,8 @@ at most, so no group has more than 2**16 members whatever the data.  Groups yiel
 
 Defined results: a null or wordless text has fingerprint zero and is linked like any other; repeated rows are
 rows of their class each; a null id is never a component's name unless no member has an id; an empty table gives no
-rows; columns other than id and text are never read.
+rows; a text of any length is hashed whole; equal hash counts of a bit leave it zero; columns other than id and text are
+never read, whatever their names.
 """
 
 from __future__ import annotations
@@ -23,7 +24,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import graph
-from .common import LOWER, cut, map_texts, utf8
+from .common import LOWER, cut, map_texts, md5_of, one_of_each, utf8
 
 RADIUS, SEED = 3, 42
 #: Fingerprints of a first-level group that are compared there; larger groups are dealt again.
@@ -65,14 +66,15 @@ def fingerprint(text: bytes, words: int = 3, seed: int = SEED) -> int:
     return int.from_bytes(np.packbits(2 * ones > n).tobytes(), "big")
 
 
-def fingerprints(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 3) -> DataFrame:
-    """doc_id and fp, the fingerprint's 64 bits as a signed long."""
+def fingerprints(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 3, digest: bool = False) -> DataFrame:
+    """doc_id and fp, the fingerprint's 64 bits as a signed long; the text's digest on request."""
 
     def kernel(batches: Iterable[pa.RecordBatch]) -> Iterator[dict]:
         for batch in batches:
-            yield {"doc_id": batch.column(0), "fp": [_signed(fingerprint(x, words)) for x in utf8(batch, "text")]}
+            got = utf8(batch, "text")
+            yield {"doc_id": batch.column(0), "fp": [_signed(fingerprint(x, words)) for x in got]} | ({"digest": [md5_of(x) for x in got]} if digest else {})
 
-    return map_texts(df, id_col, text_col, kernel, "doc_id long, fp long")
+    return map_texts(df, id_col, text_col, kernel, "doc_id long, fp long" + ", digest string" * digest)
 
 
 def _links(fps: np.ndarray) -> Iterator[tuple[int, int]]:
@@ -150,16 +152,19 @@ def links(fps: DataFrame, group: int = GROUP) -> DataFrame:
     return near.unionByName(_meet(again, None).select("a", "b"))
 
 
+def _rooted(docs: DataFrame, group: int) -> DataFrame:
+    """fp, least (doc_id) and root, the least fingerprint of its component, of each class of equal fingerprints."""
+    classes = cut(docs.groupBy("fp").agg(F.min("doc_id").alias("least")))
+    stars = cut(graph.components(links(classes.select("fp"), group)))
+    return classes.join(stars.select(F.col("a").alias("fp"), F.col("b").alias("root")), "fp", "left").withColumn("root", F.coalesce("root", "fp"))
+
+
 def groups(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 3, group: int = GROUP) -> DataFrame:
     """Per row: doc_id, fp and component_id, the least doc_id of all rows reachable through links."""
     docs = cut(fingerprints(df, id_col, text_col, words))
-    classes = docs.groupBy("fp").agg(F.min("doc_id").alias("least"))
-    classes = cut(classes)
-    stars = cut(graph.components(links(classes.select("fp"), group)))
-    rooted = classes.join(stars.select(F.col("a").alias("fp"), F.col("b").alias("root")), "fp", "left").withColumn("root", F.coalesce("root", "fp"))
+    rooted = _rooted(docs, group)
     tops = rooted.groupBy("root").agg(F.min("least").alias("component_id"))
-    of_class = rooted.join(tops, "root").select("fp", "component_id")
-    return docs.join(of_class, "fp").select("doc_id", "fp", "component_id")
+    return docs.join(rooted.join(tops, "root").select("fp", "component_id"), "fp").select("doc_id", "fp", "component_id")
 
 
 def hex_fingerprint(fp) -> F.Column:
@@ -167,9 +172,6 @@ def hex_fingerprint(fp) -> F.Column:
 
 
 def keep_one(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Rows of ``df`` with all their columns, one for each group: the row whose id names it.  Rows without id stay."""
-    named = groups(df, id_col, text_col).where("doc_id = component_id").select(F.col("doc_id").alias("__kept_id")).distinct()
-    cols = [F.col(f"`{c}`") for c in df.columns]
-    unnamed, has = df.where(F.col(id_col).isNull()), df.where(F.col(id_col).isNotNull())
-    kept = has.join(named, has[id_col].cast("long") == named["__kept_id"], "left_semi").dropDuplicates([id_col])
-    return kept.select(*cols).unionByName(unnamed.select(*cols))
+    """One row of each group, all columns unchanged; ``one_of_each`` says which.  Rows that share an id are rows of their own groups."""
+    docs = cut(fingerprints(df, id_col, text_col, digest=True))
+    return one_of_each(df, docs.join(_rooted(docs, GROUP).select("fp", "root"), "fp"), id_col, text_col)

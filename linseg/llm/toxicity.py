@@ -7,7 +7,9 @@ count.  The sum, normalised by the text's length, goes through a logistic curve
 lexicon wasn't learned from.
 
 Defined results: null, empty and wordless texts have no match and get the curve's value at zero; without training
-rows of both kinds every score is 0; repeated rows are scored each; only id and text are read.
+rows of both kinds every score is 0; repeated rows are scored each; texts of any length are matched whole; of entries that
+start at one place the heaviest counts, a score of exactly 0.7 is toxic; a null id counts as the text ''; columns other than
+id and text are not read, whatever their names.
 """
 
 from __future__ import annotations
@@ -23,12 +25,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import keep_rows, map_texts, texts
+from .common import cut, keep_rows, map_texts, texts
 
 #: Labelled training documents, of least md5 of their id, that are used; a third of them fits the curve.
 SAMPLE = 24_000
-#: Entries kept at most, the most certain first; weight and certainty (signed root of the likelihood ratio) that an entry needs.
-ENTRIES, LEAST_WEIGHT, LEAST_Z, LEAST_DOCS = 4000, 1.5, 4.5, 4
+#: Weight, certainty (signed root of the likelihood ratio) and toxic documents that an entry needs.
+LEAST_WEIGHT, LEAST_Z, LEAST_DOCS = 1.5, 4.5, 4
 #: Lengths of word beginnings that may be entries.
 STEMS = range(4, 11)
 CUT = 0.7
@@ -69,7 +71,7 @@ def fold(text: str) -> str:
 
 
 def training(doc_id: int | None) -> bool:
-    return zlib.crc32(str(doc_id).encode()) % 3 != 1
+    return zlib.crc32(b"" if doc_id is None else str(doc_id).encode()) % 3 != 1
 
 
 def entries_of(folded: str) -> set[str]:
@@ -132,7 +134,7 @@ def _automaton(weights: tuple, exceptions: tuple):
     return a
 
 
-def choose(counts: list[tuple[str, int, int]], toxic: int, clean: int, entries: int = ENTRIES) -> dict[str, float]:
+def choose(counts: list[tuple[str, int, int]], toxic: int, clean: int) -> dict[str, float]:
     """Entries and weights from (candidate, toxic documents, clean documents); a longer one needs a clearly larger weight than the stem it starts with."""
     found = {}
     for entry, a, b in counts:
@@ -146,7 +148,7 @@ def choose(counts: list[tuple[str, int, int]], toxic: int, clean: int, entries:
         shorter = [kept[entry[:k]] for k in range(2, len(entry)) if entry[:k] in kept]
         if not shorter or found[entry][0] > max(shorter) + 0.7:
             kept[entry] = found[entry][0]
-    return dict(sorted(kept.items(), key=lambda e: (-found[e[0]][1], e[0]))[:entries])
+    return dict(sorted(kept.items(), key=lambda e: (-found[e[0]][1], e[0])))
 
 
 def _logistic(x: np.ndarray, y: np.ndarray, ridge: float = 1e-2) -> np.ndarray:
@@ -180,12 +182,16 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
             yield {"entry": ["", *keys], "toxic": [n[1], *[by[1][k] for k in keys]], "clean": [n[0], *[by[0][k] for k in keys]]}
 
     counted = map_texts(coded, "doc_id", "text", candidates, "entry string, toxic long, clean long").groupBy("entry").agg(F.sum("toxic").alias("toxic"), F.sum("clean").alias("clean"))
-    able = F.col("toxic") >= LEAST_DOCS
-    found = counted.where((F.col("entry") == "") | able).orderBy(F.col("entry") != "", ((F.col("toxic") + 0.5) / (F.col("clean") + 0.5) * F.col("toxic")).desc(), "entry").limit(20 * ENTRIES).collect()
-    toxic, clean = next(((r.toxic, r.clean) for r in found if r.entry == ""), (0, 0))
+    counted = cut(counted)
+    toxic, clean = next(((r.toxic, r.clean) for r in counted.where("entry = ''").collect()), (0, 0))
     if not toxic or not clean:
         return Lexicon(exceptions=exceptions)
-    lexicon = Lexicon(choose([(r.entry, r.toxic, r.clean) for r in found if r.entry], toxic, clean), exceptions)
+    # The test of ``choose``, a little wider, so that only entries that can pass come to the driver; their number is bounded by the sample.
+    weight = F.log((F.col("toxic") + 0.5) / (toxic + 1)) - F.log((F.col("clean") + 0.5) / (clean + 1))
+    n, share = F.col("toxic") + F.col("clean"), toxic / (toxic + clean)
+    ratio = F.col("toxic") * F.log(F.col("toxic") / (n * share)) + F.when(F.col("clean") > 0, F.col("clean") * F.log(F.col("clean") / (n * (1 - share)))).otherwise(0.0)
+    found = counted.where((F.col("entry") != "") & (F.col("toxic") >= LEAST_DOCS)).where((weight >= LEAST_WEIGHT - 1e-6) & (2 * ratio >= LEAST_Z**2 - 1e-6)).collect()
+    lexicon = Lexicon(choose([(r.entry, r.toxic, r.clean) for r in found], toxic, clean), exceptions)
 
     def phrases(batches: Iterable[pa.RecordBatch]) -> Iterator[dict]:
         """Pairs of words, one of them an entry, by the kind of document; and the measures of the curve's documents."""
@@ -208,11 +214,11 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
                 "x": [*[None] * len(keys), *[x for _, x in curve]],
             }
 
-    seen = map_texts(coded, "doc_id", "text", phrases, "phrase string, toxic long, clean long, x array<double>").persist()
+    seen = map_texts(coded, "doc_id", "text", phrases, "phrase string, toxic long, clean long, x array<double>")
+    seen = cut(seen)
     harmless = seen.where("phrase is not null").groupBy("phrase").agg(F.sum("toxic").alias("toxic"), F.sum("clean").alias("clean")).where("toxic = 0 and clean >= 5")
-    learned = [r.phrase for r in harmless.orderBy(F.desc("clean"), "phrase").limit(1000).collect()]
+    learned = [r.phrase for r in harmless.collect()]
     curve = seen.where("phrase is null").select("toxic", "x").collect()
-    seen.unpersist()
     lexicon.exceptions = (*exceptions, *sorted(set(learned) - set(exceptions)))
     y = np.array([r.toxic for r in curve], float)
     if 0 < y.sum() < len(y):

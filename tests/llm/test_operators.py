@@ -16,7 +16,7 @@ import tiktoken
 import xxhash
 from tokenizers import Tokenizer
 
-from linseg.llm import bm25, bpe, classlm, graph, licences, mixing, quality, simhash, tokencounts, tokenfile, toxicity
+from linseg.llm import bm25, bpe, classlm, graph, licences, mixing, neardup, quality, simhash, tokencounts, tokenfile, toxicity
 from linseg.llm.common import load
 from linseg.llm.queries import ORACLES, QUERIES
 
@@ -129,6 +129,20 @@ def test_mixing_edges(edge, none):
     assert len({r.kept for r in got if r.doc_id == 5}) == 1
     assert mixing.mix(none).count() == 0 and mixing.sample(none).columns == edge.columns
     assert mixing.sample(edge).columns == edge.columns
+    odd = edge.selectExpr("*", "doc_id + 1 as __p", "text as __mix", "'x' as `__KEPT`", "1 as __cell")
+    kept = {r.doc_id for r in got if r.kept}
+    assert all(r["__mix"] == r.text and r["__p"] == (None if r.doc_id is None else r.doc_id + 1) and r.doc_id in kept for r in mixing.sample(odd).collect())
+    other = edge.selectExpr("doc_id as i", "text as t", "source as s", "lang as l")
+    assert rows(mixing.mix(other, id_col="i", text_col="t", source="s", lang="l"), "doc_id", "kept", "probability") == rows(mixing.mix(edge), "doc_id", "kept", "probability")
+
+
+def test_mixing_hands_on_what_a_name_cannot_give():
+    tokens = np.array([10.0, 500.0, 400.0, 90.0])
+    codes = [np.array([0, 1, 2, 2]), np.array([0, 0, 1, 1])]
+    targets = [np.array([200.0, 200.0, 200.0]), np.array([300.0, 300.0])]
+    assert mixing.reachable(targets[0], np.array([10.0, 500.0, 490.0])).tolist() == [10, 295, 295]
+    m = mixing.rake(tokens, codes, targets, 0.6, 500)
+    assert m.sum() == pytest.approx(600, rel=1e-6) and (m <= tokens + 1e-9).all() and mixing.residual(tokens, codes, targets, m) < 0.02
 
 
 # 3 SimHash
@@ -216,6 +230,17 @@ def test_one_of_each_group_stays(docs, edge, none):
     assert simhash.keep_one(edge).columns == edge.columns and simhash.keep_one(none).count() == 0
 
 
+@pytest.mark.parametrize("operator", [simhash, neardup])
+@pytest.mark.parametrize("turn", range(6))
+def test_rows_that_share_an_id_keep_their_texts(spark, operator, turn):
+    from itertools import permutations
+
+    a, b = "one two three four five six seven", "eight nine ten eleven twelve thirteen"
+    rows_ = list(list(permutations([(3, b), (5, b), (5, a)]))[turn]) + [(None, a), (None, "none of them has an id at all"), (None, "none of them has an id at all")]
+    got = sorted(map(tuple, operator.keep_one(spark.createDataFrame(rows_, "doc_id long, text string")).collect()), key=repr)
+    assert got == sorted([(3, b), (5, a), (None, "none of them has an id at all")], key=repr)
+
+
 # 4 BM25 (the whole query is compared with SQL below)
 
 
@@ -445,7 +470,7 @@ def test_toxicity_on_rows_it_did_not_see(spark, edge, none):
     assert got.where("predicted = 1 and toxic = 0").count() == 0
     assert got.where("predicted = 1 and toxic = 1").count() >= 0.5 * got.where("toxic = 1").count()
     for r in toxicity.score(edge, lex).collect():
-        assert 0 <= r.score <= 1 and r.predicted == int(r.score >= 0.7) and r.held_out == (zlib.crc32(str(r.doc_id).encode()) % 3 == 1)
+        assert 0 <= r.score <= 1 and r.predicted == int(r.score >= 0.7) and r.held_out == (zlib.crc32(b"" if r.doc_id is None else str(r.doc_id).encode()) % 3 == 1)
     assert toxicity.score(none, lex).count() == 0 and toxicity.fit(none, labels).curve is None
     kept = toxicity.keep_clean(docs, lex)
     assert kept.columns == docs.columns and kept.count() == toxicity.score(docs, lex).where("predicted = 0").count()
