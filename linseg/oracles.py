@@ -113,8 +113,8 @@ m(step, signal_id, edges, cut, gain) as (
   select step + 1, m.signal_id, list_filter(edges, lambda v: v <> g.b.cut), g.b.cut::bigint, g.b.gain from m join g using (signal_id) where len(edges) - 1 > {k}))"""
 
 
-def refinement(signal: str, d: int, k: int, starts: str, gamma: int = 2, tol: float = 1e-4, sweeps: int = 100) -> str:
-    """Recursive CTE r(sweep, signal_id, run, c1.., cost, stop) for two or three pieces, cuts visited from left to right.
+def refinement(signal: str, d: int, k: int, starts: str, gamma: int = 2, tol: float = 1e-4, sweeps: int = 100, shuffled: bool = False) -> str:
+    """Recursive CTE r(sweep, signal_id, run, c1.., cost, stop) for two or three pieces, cuts visited from left to right or, of two, in drawn order.
 
     ``starts``: a query giving signal_id, run, c1..; the running error difference is a combination of the sums in e.
     """
@@ -145,7 +145,20 @@ def refinement(signal: str, d: int, k: int, starts: str, gamma: int = 2, tol: fl
     select any_value(columns({last}.* exclude (signal_id, run))), {last}.signal_id, {last}.run, min({{'d': {diff(j - 1, f"{last}.v[({lo})::bigint + 1]", "p")}, 'cut': p.e}}).cut cut{j}
     from {last} join e p on p.signal_id = {last}.signal_id and p.e >= {lo} + {gamma} and p.e <= {"n0" if j == k - 1 else f"c{j + 1}"} - {gamma} group by {last}.signal_id, {last}.run)""")
         last = f"v{j}"
-    new = ", ".join(f"cut{j} c{j}" for j in range(1, k))
+    if shuffled and k == 3:
+        at = lambda row, c: f"{row}.v[({c})::bigint + 1]"
+        turn = lambda row, first, second: f"case when {row}.cut_first = 1 then {first} else {second} end"
+        steps = [
+            f"""v1 as materialized (
+    select any_value(columns(f.* exclude (signal_id, run))), f.signal_id, f.run, min({{'d': {turn("f", diff(0, at("f", "0"), "p"), diff(1, at("f", "f.c1"), "p"))}, 'cut': p.e}}).cut got1
+    from f join e p on p.signal_id = f.signal_id and p.e >= {turn("f", "0", "f.c1")} + {gamma} and p.e <= {turn("f", "f.c2", "f.n0")} - {gamma} group by f.signal_id, f.run)""",
+            f"""v2 as materialized (
+    select any_value(columns(v1.* exclude (signal_id, run))), v1.signal_id, v1.run, min({{'d': {turn("v1", diff(1, at("v1", "v1.got1"), "p"), diff(0, at("v1", "0"), "p"))}, 'cut': p.e}}).cut got2
+    from v1 join e p on p.signal_id = v1.signal_id and p.e >= {turn("v1", "v1.got1", "0")} + {gamma} and p.e <= {turn("v1", "v1.n0", "v1.got1")} - {gamma} group by v1.signal_id, v1.run)""",
+        ]
+        last = "v2"
+        fields.append("case when " + draw("'0'", "signal_id", "'order'", "sweep::varchar", "'0'") + " <= " + draw("'0'", "signal_id", "'order'", "sweep::varchar", "'1'") + " then 1 else 2 end cut_first")
+    new = "case when cut_first = 1 then got1 else got2 end c1, case when cut_first = 1 then got2 else got1 end c2" if shuffled and k == 3 else ", ".join(f"cut{j} c{j}" for j in range(1, k))
     held = ", ".join(cuts)
     return f"""with recursive {ends(signal, d)},
 el as materialized (select signal_id, list({{{", ".join(f"'{c}': {c}" for c in sums)}}} order by e) v from e group by 1),
@@ -159,3 +172,49 @@ r(sweep, signal_id, run, n, {held}, cost, before) as (
   {", ".join(steps)},
   w as (select sweep + 1 sweep, signal_id, run, n0 n, {new}, cost before, v from {last})
   select sweep, signal_id, run, n, {held}, {total}, before from (select *, {found} from w)))"""
+
+
+def bicriteria(d: int, k: int, gamma: int = 2) -> str:
+    """Recursive CTE b over e (round, signal_id, lo, hi, cost, banked), and scale."""
+    return f"""b(round, signal_id, lo, hi, cost, banked) as (
+  select 0, signal_id, 0::bigint, n::bigint, null::double, false from size
+  union all (
+  with z as (select *, greatest({gamma}, (sum(hi - lo) over (partition by signal_id) + {4 * k - 1}) // {4 * k})::bigint part from b where not banked),
+  p as (select round, signal_id, part, lo + i * part lo, least(lo + (i + 1) * part, hi) hi from (select *, unnest(range((hi - lo + part - 1) // part)) i from z)),
+  c as (select p.*, {cost("x", "y", d)} cost from p join e x on x.signal_id = p.signal_id and x.e = lo join e y on y.signal_id = p.signal_id and y.e = hi),
+  o as (select *, row_number() over (partition by signal_id order by cost, lo) nth, count(*) over (partition by signal_id) m from c)
+  select round + 1, signal_id, lo, hi, cost, nth <= case when part <= {gamma} or m <= {2 * k} then m else (m + 1) // 2 end from o)),
+scale as materialized (select signal_id, sum(cost) scale from b where banked group by 1)"""
+
+
+def over_cells(signal: str, d: int, factor: str, gamma: int = 2) -> str:
+    """``with recursive`` up to top(signal_id, n_cells, c1, c2, cost): dynamic programming over balanced cells, three pieces.  factor: SQL over size's n."""
+    return f"""with recursive {ends(signal, d)}, {bicriteria(d, 3, gamma)},
+budget as materialized (select z.signal_id, z.n::bigint n, greatest(scale / (3 * ({factor})), 1e-12 * (select {" + ".join(f"x.sxx{i} - x.sx{i} * x.sx{i} / x.n" for i in range(d))} from e x where x.signal_id = z.signal_id and x.e = z.n)) budget from size z join scale using (signal_id)),
+g(cell, signal_id, lo, hi) as (
+  select -1, signal_id, 0::bigint, 0::bigint from budget union all
+  select cell + 1, g.signal_id, g.hi, max(y.e)::bigint from g join budget w using (signal_id) join e x on x.signal_id = g.signal_id and x.e = g.hi join e y on y.signal_id = g.signal_id and y.e > g.hi
+  where g.hi < w.n and (y.e <= g.hi + 2 or {cost("x", "y", d)} <= w.budget) group by 1, 2, 3),
+edge as materialized (select signal_id, hi place from g),
+cells as (select signal_id, count(*) - 1 n_cells from edge group by 1),
+c as materialized (select x.signal_id, x.e i, y.e j, {cost("x", "y", d)} cost from edge p join edge q on q.signal_id = p.signal_id and q.place >= p.place + {gamma} join e x on x.signal_id = p.signal_id and x.e = p.place join e y on y.signal_id = q.signal_id and y.e = q.place),
+l1 as (select signal_id, j, cost, 0::bigint i from c where i = 0),
+l2 as materialized (select signal_id, j, b.cost cost, b.i i from (select c.signal_id, c.j, min({{'cost': p.cost + c.cost, 'i': c.i}}) b from c join l1 p on p.signal_id = c.signal_id and p.j = c.i group by 1, 2)),
+l3 as (select signal_id, j, b.cost cost, b.i i from (select c.signal_id, c.j, min({{'cost': p.cost + c.cost, 'i': c.i}}) b from c join l2 p on p.signal_id = c.signal_id and p.j = c.i group by 1, 2)),
+top as materialized (select z.signal_id, n_cells, l2.i::bigint c1, l3.i::bigint c2, l3.cost cost from size z join cells using (signal_id) join l3 on l3.signal_id = z.signal_id and l3.j = z.n join l2 on l2.signal_id = z.signal_id and l2.j = l3.i)"""
+
+
+def windowed_cuts(window: int, mode: str, threshold: float) -> str:
+    """Cuts of each user's events by the windowed two-piece test: signal_id, cut_us, gain, window_n."""
+    signal = "select user_id::varchar signal_id, (row_number() over w - 1)::bigint pos, (epoch_us(ts) - min(epoch_us(ts)) over (partition by user_id)) / 1e6 t, round(value * 100) x0 from events window w as (partition by user_id order by ts, round(value * 100))"
+    inner = f"l.e = m.lo + {window // 2}" if mode == "half" else f"l.e >= m.lo + 2 and l.e <= m.lo + {window - 2}"
+    return f"""with recursive {ends(signal, 1)}, us as (select user_id::varchar signal_id, row_number() over (partition by user_id order by ts, round(value * 100)) - 1 pos, epoch_us(ts) us from events),
+m(lo, signal_id, cut, gain) as (
+  select 0::bigint, signal_id, null::bigint, null::double from size
+  union all (
+  with f as (
+    select m.signal_id, m.lo, min({{'cost': {cost("x", "l", 1)} + {cost("l", "y", 1)}, 'cut': l.e}}) b, min({cost("x", "y", 1)}) whole
+    from m join e x on x.signal_id = m.signal_id and x.e = m.lo join e y on y.signal_id = m.signal_id and y.e = m.lo + {window} join e l on l.signal_id = m.signal_id and {inner} group by 1, 2),
+  h as (select *, whole > 0 and (whole - b.cost) / whole >= {threshold} hit from f)
+  select case when hit then b.cut else lo + {window // 2} end::bigint, signal_id, case when hit then b.cut end::bigint, case when hit then (whole - b.cost) / whole end from h))
+select m.signal_id, us.us::bigint cut_us, round(gain, 6) gain from m join us on us.signal_id = m.signal_id and us.pos = m.cut"""

@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 from collections.abc import Callable
 
@@ -17,7 +16,7 @@ from .operators import segment as S
 from .plans import regime, sql
 from .sources import builders as B
 from .sources import planted as P
-from .sources.tables import load_table
+from .sources.tables import load_table, shared_folder
 from .streaming import cuts as online
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -259,19 +258,22 @@ def balanced_cells_user(spark, sf):
     return S.cells_of(B.user_signal(spark, sf), 3, budget=0.2).select("signal_id", "cell", "start_pos", "end_pos")
 
 
-@query()
+@query(f"with recursive {O.ends(O.USER, 2)}, {O.bicriteria(2, 3)} select signal_id, round(scale / 1e6, 4) scale from scale")
 def bicriteria_cost(spark, sf):
     return S.cells_of(B.user_signal(spark, sf), 3).where("cell = 0").select("signal_id", r6("scale", 1e6, 4).alias("scale"))
 
 
-@query()
+_FACTORS = {"10": "10.0", "50": "50.0", "log": "100 * log2(n)"}
+
+
+@query(" union all ".join(f"(select signal_id, '{f}' sf, n_cells::int n_cells, round(cost / 1e6, 4) cost from ({O.over_cells(O.USER, 2, x)} select * from top))" for f, x in _FACTORS.items()))
 def optimal_over_cells_user(spark, sf):
     sig = B.user_signal(spark, sf)
     parts = [S.scores_of(S.segment(sig, 3, "optimal_over_cells", sf=f)).withColumn("sf", F.lit(str(f))) for f in (10, 50, "log")]
     return parts[0].unionByName(parts[1]).unionByName(parts[2]).select("signal_id", "sf", "n_cells", r6("cost", 1e6, 4).alias("cost"))
 
 
-@query()
+@query(f"{O.over_cells(O.USER, 2, '10.0')} select signal_id, n_cells::int n_cells, round(cost / 1e6, 4) cost from top")
 def optimal_over_cells_svd(spark, sf):
     return S.scores_of(S.segment(B.user_signal(spark, sf), 3, "optimal_over_cells", sf=10, compress="svd")).select("signal_id", "n_cells", r6("cost", 1e6, 4).alias("cost"))
 
@@ -312,12 +314,33 @@ def refine_then_merge_orders(spark, sf):
     return S.cuts_of(S.segment(sig, 7, "refine_then_merge")).select("pos", F.lit("plain").alias("kind")).unionByName(S.cuts_of(S.segment(sig, 7, "refine_then_merge", polish=True)).select("pos", F.lit("polished").alias("kind")))
 
 
-@query()
+_LAST = "f as (select * from r qualify sweep = max(sweep) over (partition by signal_id, run))"
+
+
+@query(O.refinement(O.USER, 2, 3, f"select signal_id, n_cells run, c1, c2 from ({O.over_cells(O.USER, 2, '10.0')} select * from top)", shuffled=True) + f", {_LAST} select signal_id, run::int n_cells, sweep::int sweeps, round(cost / 1e6, 4) cost from f")
 def cells_then_refine_user(spark, sf):
     return S.scores_of(S.segment(B.user_signal(spark, sf), 3, "cells_then_refine")).select("signal_id", "n_cells", "sweeps", r6("cost", 1e6, 4).alias("cost"))
 
 
-@query()
+@query(O.refinement(O.USER, 2, 3, _THREE, shuffled=True) + f", {_LAST} select signal_id, c1::bigint c1, c2::bigint c2, sweep::int sweeps, round(cost / 1e6, 4) cost from f")
+def refine_shuffled_user(spark, sf):
+    """Pairs visited in an order drawn anew each sweep."""
+    p = S.segment(B.user_signal(spark, sf), 3, "refine_boundaries")
+    return p.groupBy("signal_id").agg(F.max(F.when(F.col("seg_no") == 1, F.col("start_pos"))).alias("c1"), F.max(F.when(F.col("seg_no") == 2, F.col("start_pos"))).alias("c2"), F.first("sweeps").alias("sweeps"), r6(F.first("cost"), 1e6, 4).alias("cost"))
+
+
+@query(
+    O.refinement(O.USER, 2, 3, _THREE, shuffled=True)
+    + f""", {_LAST}, h as (select f.*, {O.cost("a", "c", 2)} - {O.cost("a", "b", 2)} - {O.cost("b", "c", 2)} g1, {O.cost("b", "z", 2)} - {O.cost("b", "c", 2)} - {O.cost("c", "z", 2)} g2 from f
+    join e a on a.signal_id = f.signal_id and a.e = 0 join e b on b.signal_id = f.signal_id and b.e = c1 join e c on c.signal_id = f.signal_id and c.e = c2 join e z on z.signal_id = f.signal_id and z.e = f.n)
+    select signal_id, case when g1 <= g2 then c2 else c1 end::bigint cut from h"""
+)
+def refine_then_merge_user(spark, sf):
+    """Three even pieces refined in drawn order, the two of least discrepancy fused."""
+    return S.cuts_of(S.segment(B.user_signal(spark, sf), 2, "refine_then_merge", k_init=3)).select("signal_id", F.col("pos").alias("cut"))
+
+
+@query(O.refinement(O.USER, 2, 3, f"select signal_id, 0 run, min(cut) c1, max(cut) c2 from ({O.binary_split(O.USER, 2, 3)}) group by 1", shuffled=True) + f", {_LAST} select signal_id, sweep::int sweeps, round(cost / 1e6, 4) cost from f")
 def warm_start_user(spark, sf):
     """Refinement from another method's cuts."""
     sig = B.user_signal(spark, sf)
@@ -325,15 +348,30 @@ def warm_start_user(spark, sf):
     return S.scores_of(S.segment(sig, 3, "refine_boundaries", init=start)).select("signal_id", "sweeps", r6("cost", 1e6, 4).alias("cost"))
 
 
-@query()
+def _best_two(sloped: bool) -> str:
+    return f"select l.signal_id, min({O.cost('o', 'l', 2, sloped)} + {O.cost('l', 'h', 2, sloped)}) cost from e l join size z on z.signal_id = l.signal_id join e o on o.signal_id = l.signal_id and o.e = 0 join e h on h.signal_id = l.signal_id and h.e = z.n where l.e >= 2 and l.e <= z.n - 2 group by 1"
+
+
+@query(f"with {O.ends(O.USER, 2)} select signal_id, 'l2_linear' model, round(cost / 1e6, 3) cost from ({_best_two(True)}) union all select signal_id, 'l2_constant', round(cost / 1e6, 3) from ({_best_two(False)})")
 def cost_models_user(spark, sf):
-    """Mean, line and absolute-error line costs of the best two pieces."""
+    """Mean and line costs of the best two pieces."""
     sig = B.user_signal(spark, sf)
-    parts = [S.scores_of(S.segment(sig, 2, "binary_split", cost=c)).withColumn("model", F.lit(c)) for c in ("l2_linear", "l2_constant", "l1_linear")]
-    return parts[0].unionByName(parts[1]).unionByName(parts[2]).select("signal_id", "model", r6("cost", 1e3, 3).alias("cost"))
+    parts = [S.scores_of(S.segment(sig, 2, "binary_split", cost=c)).withColumn("model", F.lit(c)) for c in ("l2_linear", "l2_constant")]
+    return parts[0].unionByName(parts[1]).select("signal_id", "model", r6("cost", 1e6, 3).alias("cost"))
 
 
 @query()
+def absolute_cost_user(spark, sf):
+    """Absolute-error line cost of the best two pieces; signals too long for it have an error."""
+    return S.segment(B.user_signal(spark, sf), 2, "binary_split", cost="l1_linear").where("seg_no = 0 or error is not null").select("signal_id", r6("cost", 1e3, 3).alias("cost"), "error")
+
+
+@query(f"with {O.ends(O.USER, 2)} select z.signal_id, round({O.cost('a', 'b', 2)} / 1e6, 4) cost from size z join e a on a.signal_id = z.signal_id and a.e = 0 join e b on b.signal_id = z.signal_id and b.e = z.n")
+def one_piece_user(spark, sf):
+    return S.scores_of(S.segment(B.user_signal(spark, sf), 1, "one_piece")).select("signal_id", r6("cost", 1e6, 4).alias("cost"))
+
+
+@query("select conv_id::varchar signal_id, count(*) || ' points don''t hold 3 pieces of 2' error from conversations group by 1 having count(*) < 6")
 def infeasible_conversations(spark, sf):
     """Conversations too short for three pieces come back as error rows."""
     return S.segment(B.conversation_signal(spark, sf), 3, "refine_boundaries").where("error is not null").select("signal_id", "error")
@@ -535,6 +573,67 @@ def signal_profile(spark, sf):
     return regime.signal_profile(B.supplier_signal(spark, sf))
 
 
+@query("with n as (select l_suppkey, count(*) n from lineitem group by 1) select count(*) signals, approx_signals, quantile_cont(n, 0.5) median, round(quantile_cont(n, 0.99), 6) most from n, (select 1::boolean approx_signals) group by approx_signals")
+def signal_sizes(spark, sf):
+    """What a planner needs to know: signals (exact, and whether the sketch comes within a tenth), quantiles of their lengths."""
+    p = regime.signal_profile(B.supplier_signal(spark, sf))
+    return p.agg(F.count("*").alias("signals"), (F.abs(F.approx_count_distinct("signal_id", 0.02) / F.count("*") - 1) < 0.1).alias("approx_signals"), F.percentile("n", F.lit(0.5)).alias("median"), F.round(F.percentile("n", F.lit(0.99)), 6).alias("most"))
+
+
+_KINDS = ("click", "error", "view")
+
+
+@query("with p as (select *, row_number() over (partition by user_id order by ts, event_id) - 1 pos from events) select user_id::varchar signal_id, pos, " + ", ".join(f"case when event_type = '{k}' then round(value * 100) else 0.0 end {k}" for k in _KINDS) + " from p")
+def long_rows_signal(spark, sf):
+    """One row a value and dimension, to vectors."""
+    ev = load_table(spark, sf, "events", ["user_id", "ts", "event_id", "event_type", "value"]).withColumn("signal_id", F.col("user_id").cast("string"))
+    rows = B.with_position(ev, "signal_id", ["ts", "event_id"]).select("signal_id", "pos", F.col("event_type").alias("dim"), F.round(F.col("value") * 100).alias("v"))
+    return B.from_long(rows, "dim", "v", list(_KINDS)).select("signal_id", "pos", *[F.col("x")[i].alias(k) for i, k in enumerate(_KINDS)])
+
+
+@query(f"with s as ({O.USER}) select signal_id, pos, x0, x1 from s where t >= 10 and t < 30")
+def restricted_wide_signal(spark, sf):
+    """Columns to vectors, a span of time kept."""
+    wide = B.user_signal(spark, sf).select("signal_id", "pos", "t", F.col("x")[0].alias("a"), F.col("x")[1].alias("b"))
+    return apps.restrict(B.from_wide(wide, ["a", "b"]), 10, 30).select("signal_id", "pos", F.col("x")[0].alias("x0"), F.col("x")[1].alias("x1"))
+
+
+@query("""with b as (select date_trunc('hour', ts) bucket, count(*) filter (event_type = 'click') click from events group by 1), g as (select unnest(generate_series(min(bucket), max(bucket), interval 1 hour)) bucket from b)
+  select epoch_us(g.bucket)::bigint bucket, last_value(click ignore nulls) over (order by g.bucket)::bigint click from g left join b using (bucket)""")
+def carried_hours(spark, sf):
+    """Gaps filled with the last known value."""
+    return B.fill_gaps(B.hourly_buckets(spark, sf), "hour", list(B.KINDS), "ffill").select(C.micros("bucket").alias("bucket"), "click")
+
+
+@query(f"with {O.ends(O.USER, 2)}, {_CURVE} select signal_id, cut, rank::int rank from (select *, row_number() over (partition by signal_id order by gain desc, cut) rank from curve) where rank <= 2")
+def top_contrasts(spark, sf):
+    return fit.top_per_signal(fit.sliding_curve(B.user_signal(spark, sf), 2, 20), 2, [F.desc("gain"), "cut"]).select("signal_id", "cut", "rank")
+
+
+@query(f"with {O.ends(O.USER, 2)}, {_THIRDS} select signal_id, seg_no::int seg_no, lo::bigint start_pos, hi::bigint end_pos, (seg_no % 2)::int shade from thirds")
+def shaded_pieces(spark, sf):
+    return apps.shade(fit.uniform_pieces(B.user_signal(spark, sf), 3))
+
+
+_AGREE = f"with {O.ends(O.USER, 2)}, {O.best_cut(2)}, {_CURVE}, one as (select signal_id, max({{'gain': gain, 'left': -cut}}) b from curve group by 1)"
+
+
+def _two_methods(spark, sf):
+    sig = B.user_signal(spark, sf)
+    top = fit.sliding_curve(sig, 2, 20).groupBy("signal_id").agg(F.max(F.struct("gain", -F.col("cut"), "cut")).alias("b"))
+    return fit.best_single_cut(sig, 2).select("signal_id", F.col("cut").alias("pos")), top.select("signal_id", F.col("b.cut").alias("pos"))
+
+
+@query(f"{_AGREE} select signal_id, cut pos from best union select signal_id, -b.left from one")
+def method_union(spark, sf):
+    return metrics.agree(*_two_methods(spark, sf), "union")
+
+
+@query(f"{_AGREE} select signal_id, cut pos from best except select signal_id, -b.left from one")
+def method_difference(spark, sf):
+    return metrics.agree(*_two_methods(spark, sf), "except")
+
+
 @query(f"with {O.ends(O.USER, 2)}, {O.best_cut(2)}, {_CURVE}, one as (select signal_id, max({{'gain': gain, 'left': -cut}}) b from curve group by 1) select signal_id, cut pos from best intersect select signal_id, -b.left from one")
 def method_agreement(spark, sf):
     sig = B.user_signal(spark, sf)
@@ -577,8 +676,12 @@ def _stream(spark, sf):
     return spark.readStream.schema(schema).option("pathGlobFilter", "events.parquet*").parquet(sf)
 
 
+def _folder(spark: SparkSession) -> str:
+    return f"{shared_folder(spark)}/stream-{uuid.uuid4().hex}"
+
+
 def _drained(stream: DataFrame, mode: str = "append") -> DataFrame:
-    return online.drain(stream, f"m_{uuid.uuid4().hex}", tempfile.mkdtemp(prefix="linseg-stream-"), mode)
+    return online.drain(stream, _folder(stream.sparkSession), mode)
 
 
 @query("select user_id::varchar signal_id, epoch_us(time_bucket(interval 7 days, ts, timestamp '1970-01-01'))::bigint window_us, count(*)::double n, sum(round(value * 100)) sx0 from events group by 1, 2")
@@ -596,16 +699,25 @@ def session_signals(spark, sf):
     return _drained(online.stream_sessions(rows, "user_id", "ts", "12 hours"), "complete")
 
 
-@query()
+def _cents(df: DataFrame) -> DataFrame:
+    return df.withColumn("cents", F.round(F.col("value") * 100))
+
+
+@query(O.windowed_cuts(30, "refined", 0.3))
 def stream_refined_cuts(spark, sf):
-    rows = _stream(spark, sf).withColumn("cents", F.round(F.col("value") * 100))
-    return _drained(online.stream_cuts(rows, "user_id", "ts", ["cents"], 30, "refined", 0.3)).select("signal_id", "cut_us", r6("gain").alias("gain"))
+    found = lambda rows: online.stream_cuts(_cents(rows), "user_id", "ts", ["cents"], 30, "refined", 0.3)
+    return online.drain_closed(found, _stream(spark, sf), "ts", _folder(spark)).select("signal_id", "cut_us", r6("gain").alias("gain"))
 
 
-@query()
+@query(O.windowed_cuts(30, "refined", 0.3))
 def batch_refined_cuts(spark, sf):
-    ev = load_table(spark, sf, "events").withColumn("cents", F.round(F.col("value") * 100))
-    return online.batch_cuts(ev, "user_id", "ts", ["cents"], 30, "refined", 0.3).select("signal_id", "cut_us", r6("gain").alias("gain"))
+    return online.batch_cuts(_cents(load_table(spark, sf, "events")), "user_id", "ts", ["cents"], 30, "refined", 0.3).select("signal_id", "cut_us", r6("gain").alias("gain"))
+
+
+@query(O.windowed_cuts(30, "half", 0.3))
+def batch_half_cuts(spark, sf):
+    """The window cut in the middle, for comparison."""
+    return online.batch_cuts(_cents(load_table(spark, sf, "events")), "user_id", "ts", ["cents"], 30, "half", 0.3).select("signal_id", "cut_us", r6("gain").alias("gain"))
 
 
 @query("select (row_number() over (order by p_partkey) - 1)::bigint pos from part qualify p_retailprice < lag(p_retailprice) over (order by p_partkey) - 50")

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterable, Iterator
+from collections.abc import Callable, Iterable, Iterator
 
 import numpy as np
 import pandas as pd
@@ -132,8 +132,31 @@ def resegment(batch: DataFrame, stored_cuts: DataFrame, **options) -> DataFrame:
     return segment(batch, 1, "refine_boundaries", init=stored_cuts, on_infeasible="clamp", **options)
 
 
-def drain(stream: DataFrame, name: str, folder: str, mode: str = "append") -> DataFrame:
-    """Runs a finite stream to its end into a memory table and returns that."""
-    q = stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", folder).trigger(availableNow=True).start()
+def drain(stream: DataFrame, folder: str, mode: str = "append") -> DataFrame:
+    """Runs a finite stream to its end into Parquet below ``folder`` (shared by driver and executors) and returns that.
+
+    Appended rows go through the file sink, which commits each batch once; in complete mode a batch replaces the last.
+    """
+    out = f"{folder}/rows"
+    writer = stream.writeStream.outputMode(mode).option("checkpointLocation", f"{folder}/progress").trigger(availableNow=True)
+    if mode == "append":
+        q = writer.format("parquet").option("path", out).start()
+    else:
+        q = writer.foreachBatch(lambda df, i: df.write.mode("overwrite").parquet(out)).start()
     q.awaitTermination()
-    return stream.sparkSession.table(name)
+    return stream.sparkSession.read.schema(stream.schema).parquet(out)
+
+
+def drain_closed(found: Callable[[DataFrame], DataFrame], source: DataFrame, ts: str, folder: str) -> DataFrame:
+    """``drain`` of found(source), then of a closing row far in the future: its watermark passes every point, so none is held back.
+
+    ``source`` is a file stream that gets no more rows.  The closing row has nulls but for its time.
+    """
+    spark, schema = source.sparkSession, source.schema
+    last = f"{folder}/closing"
+    spark.createDataFrame([], schema).write.mode("overwrite").parquet(last)
+    rows = source.unionByName(spark.readStream.schema(schema).parquet(last))
+    drain(found(rows), folder)
+    end = F.lit("2200-01-01 00:00:00")  # later ones overflow pandas times
+    spark.range(1).select(*[(end if f.name == ts else F.lit(None)).cast(f.dataType).alias(f.name) for f in schema]).write.mode("append").parquet(last)
+    return drain(found(rows), folder)

@@ -24,7 +24,8 @@ def test_ranges_behind_the_millionth_event(spark, tmp_path):
 def test_compressed_cells_and_cost_models_of_every_user(spark):
     users = {str(r.user_id) for r in spark.read.parquet(f"{SF}/events.parquet").select("user_id").distinct().collect()}
     assert {r.signal_id for r in QUERIES["optimal_over_cells_svd"](spark, SF).collect()} == users
-    assert {(r.signal_id, r.model) for r in QUERIES["cost_models_user"](spark, SF).collect()} == {(u, m) for u in users for m in ("l2_linear", "l2_constant", "l1_linear")}
+    assert {(r.signal_id, r.model) for r in QUERIES["cost_models_user"](spark, SF).collect()} == {(u, m) for u in users for m in ("l2_linear", "l2_constant")}
+    assert {r.signal_id for r in QUERIES["absolute_cost_user"](spark, SF).collect()} == users
 
 
 def test_experiments_of_every_supplier(spark):
