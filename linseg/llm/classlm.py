@@ -1,16 +1,19 @@
 """Language-model scores by class-based n-grams (word classes by exchange clustering).
 
 Training counts every word of every training document; the counts stay a table.  Exchange clustering moves each of
-the ``HEAD`` most frequent words between classes while that raises the likelihood of the class bigrams; less frequent
-words, of which a corpus has no end, have their class by shape (length, first and last byte), so that a word unseen
-in training has one too.  A text's probability is the product over its tokens of class transition (discounted, the
+the ``HEAD`` most frequent words between classes while that raises the likelihood of the class bigrams; then each of the
+``CLUSTERED`` most frequent ones moves to the class that raises it most, from the words' neighbours in all training documents,
+counted by class where they stand.  Words beyond those, of which a corpus has no end, have their class by shape (length,
+first and last byte), so that a word unseen in training has one too.  Class bigrams are then counted anew.  A text's probability is the product over its tokens of class transition (discounted, the
 rest by class frequency) and word emission (in the shape classes with one added to each count and one more for unseen words).
 
 Counts of words up to ``COMMON`` in number go to the executors as a dictionary; those of all other words are
 joined to the documents that use them, so no table that grows with the corpus is broadcast.
 
 Defined results: a null text is empty and has its end token alone; without training rows every count is 0; a null id
-counts as the text ''; repeated rows are scored each and counted each; only id and text are read.
+counts as the text ''; repeated rows are scored each and counted each; texts of any length count whole; of equally frequent
+words those of lesser bytes come first, and of equally good classes that of least number; columns other than id and text are
+not read, whatever their names.
 """
 
 from __future__ import annotations
@@ -21,13 +24,17 @@ from collections.abc import Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import LOWER, arrow_schema, cut, pieces, utf8
+from .stretches import split
 
-#: Words that are clustered, classes that they get, sweeps over them, words whose counts are broadcast.
-HEAD, CLASSES, SWEEPS, COMMON = 2000, 64, 6, 200_000
+#: Words that are exchanged one by one, classes that they get, sweeps over them, words that get a class of these, words whose counts are broadcast.
+HEAD, CLASSES, SWEEPS, CLUSTERED, COMMON = 2000, 64, 6, 50_000, 200_000
+#: Neighbours that a task gathers before it adds them up.
+GATHER = 2_000_000
 #: Mass of a class bigram that is left to the class's own frequency.
 DISCOUNT = 0.7
 SHAPES = 32
@@ -85,25 +92,39 @@ def most_frequent(counts: DataFrame, most: int) -> list[tuple[bytes, int]]:
     return sorted(((w.encode(), c) for w, c in zip(got["word"].to_pylist(), got["c"].to_pylist(), strict=True)), key=lambda x: (-x[1], x[0]))
 
 
-def bigrams(train: DataFrame, head: list[bytes]) -> np.ndarray:
-    """Counts of neighbours among head words, shape classes, text starts and text ends (rows: the former).
+def _tokens(column: pa.Array) -> tuple[list[str], np.ndarray, np.ndarray]:
+    """Distinct lower-cased words of the texts, the number of each word in turn, and the texts' lengths."""
+    found, code, n = split(pc.ascii_split_whitespace(pc.ascii_lower(pc.fill_null(column, ""))))
+    words = found.to_pylist()
+    if "" not in words:  # what stands before leading and behind trailing white space
+        return words, code, n
+    real = code != words.index("")
+    edges = np.concatenate([[0], np.cumsum(real)])
+    ends = np.cumsum(n)
+    return words, code[real], edges[ends] - edges[ends - n]
+
+
+def _sequence(of: np.ndarray, n: np.ndarray, end: int) -> np.ndarray:
+    """The texts' tokens end to end, with ``end`` before, between and behind them."""
+    return np.append(np.insert(of, np.cumsum(n) - n, end), end)
 
-    Tasks add into a matrix of (HEAD + SHAPES + 1) squared and hand on its nonzero cells; their sums, of that
-    number at most, come to the driver.
+
+def pair_counts(train: DataFrame, words: list[bytes], of: np.ndarray, shapes: int) -> np.ndarray:
+    """Counts of neighbours by class (rows: the former).  of: class of each word; other words have class ``shapes`` + shape; the last class is a text's end.
+
+    Tasks add into a matrix and hand on its nonzero cells; their sums, of that number at most, come to the driver.
     """
-    place = {w: i for i, w in enumerate(head)}
-    size = len(head) + SHAPES + 1
-    shared = train.sparkSession.sparkContext.broadcast(place)
+    size = shapes + SHAPES + 1
+    shared = train.sparkSession.sparkContext.broadcast({w.decode(): int(c) for w, c in zip(words, of, strict=True)})
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        place, n = shared.value, size - SHAPES - 1
+        get = shared.value.get
         table = np.zeros(size * size, np.int64)
         for batch in pieces(batches, "text"):
-            for text in utf8(batch, "text"):
-                at = [size - 1, *[i if (i := place.get(w)) is not None else n + shape(w) for w in _words(text)], size - 1]
-                at = np.array(at)
-                pairs, times = np.unique(at[:-1] * size + at[1:], return_counts=True)
-                table[pairs] += times
+            found, code, n = _tokens(batch.column(0))
+            own = np.array([c if (c := get(w)) is not None else shapes + shape(w.encode()) if w else 0 for w in found], np.int64)
+            at = _sequence(own[code], n, size - 1)
+            table += np.bincount(at[:-1] * size + at[1:], minlength=size * size)
         k = np.flatnonzero(table)
         for lo in range(0, len(k), 100_000):
             part = k[lo : lo + 100_000]
@@ -115,10 +136,82 @@ def bigrams(train: DataFrame, head: list[bytes]) -> np.ndarray:
     return out.reshape(size, size)
 
 
+def bigrams(train: DataFrame, head: list[bytes]) -> np.ndarray:
+    """``pair_counts`` with a class for each head word."""
+    return pair_counts(train, head, np.arange(len(head)), len(head))
+
+
+def place_rest(train: DataFrame, words: list[bytes], first: int, of: np.ndarray, g: np.ndarray, classes: int) -> np.ndarray:
+    """Class of each of ``words`` from place ``first`` on (those before have ``of``): the one whose bigrams ``g`` gain most by it.
+
+    A task adds up the classes before and behind each word; the vectors, one a word and task at most, meet by word, where the
+    best class is found; a number for each word comes to the driver.
+    """
+    k = len(g)
+    shared = train.sparkSession.sparkContext.broadcast(({w.decode(): i for i, w in enumerate(words)}, of, g))
+
+    def gather(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        place, of, _ = shared.value
+        get, table, held, size = place.get, np.zeros(len(words[first:]) * 2 * k, np.uint32), [], 0
+
+        def add() -> None:
+            cells, times = np.unique(np.concatenate(held), return_counts=True)
+            table[cells] += times.astype(np.uint32)
+            held.clear()
+
+        for batch in pieces(batches, "text"):
+            found, code, n = _tokens(batch.column(0))
+            word = np.array([i if (i := get(w)) is not None else -1 for w in found], np.int64)
+            own = np.array([of[i] if 0 <= i < first else classes + shape(w.encode()) if w else 0 for w, i in zip(found, word.tolist(), strict=True)], np.int64)
+            at, who = _sequence(own[code], n, k - 1), _sequence(word[code], n, -1)
+            here = np.flatnonzero(who >= first)
+            cell = (who[here] - first) * 2 * k
+            held += [cell + at[here - 1], cell + k + at[here + 1]]
+            size += 2 * len(here)
+            if size > GATHER:
+                add()
+                size = 0
+        if held:
+            add()
+        rows = table.reshape(-1, 2 * k)
+        some = np.flatnonzero(rows.any(1))
+        for lo in range(0, len(some), 5000):
+            part = some[lo : lo + 5000]
+            yield pa.RecordBatch.from_arrays([pa.array(part, pa.int64()), pa.array([r.tobytes() for r in rows[part]], pa.binary())], names=["word", "v"])
+
+    def choose(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        g = shared.value[2]
+        sums: dict[int, np.ndarray] = {}
+        for batch in batches:
+            for w, v in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                x = np.frombuffer(v, np.uint32).astype(np.float64)
+                sums[w] = sums[w] + x if w in sums else x
+        if sums:
+            best = [int(np.argmax(_gain(g, classes, x[k:], x[:k], 0.0))) for x in sums.values()]
+            yield pa.RecordBatch.from_arrays([pa.array(list(sums), pa.int64()), pa.array(best, pa.int64())], names=["word", "class"])
+
+    met = train.select(F.col("text").cast("string").alias("text")).mapInArrow(gather, "word long, v binary").repartition("word")
+    got = met.mapInArrow(choose, "word long, class long").toArrow()
+    out = classes + np.array([shape(w) for w in words[first:]], np.int64)
+    out[got["word"].to_numpy()] = got["class"].to_numpy()
+    return out
+
+
 def _xlogx(x: np.ndarray) -> np.ndarray:
     return x * np.log(np.maximum(x, 1.0))
 
 
+def _gain(g: np.ndarray, classes: int, right: np.ndarray, left: np.ndarray, own: float) -> np.ndarray:
+    """What the class-bigram likelihood gains when a word that stands in no class joins each: counts behind and before it by class, and of itself."""
+    rows, cols = g[:classes], g[:, :classes].T
+    gain = (_xlogx(rows + right) - _xlogx(rows)).sum(1) + (_xlogx(cols + left) - _xlogx(cols)).sum(1)
+    d = np.arange(classes)
+    diag = g[d, d]
+    gain += 2 * _xlogx(diag) - _xlogx(diag + right[d]) - _xlogx(diag + left[d]) + _xlogx(diag + right[d] + left[d] + own) - _xlogx(diag)
+    out_n, in_n = g[:classes].sum(1), g[:, :classes].sum(0)
+    return gain - (_xlogx(out_n + right.sum() + own) - _xlogx(out_n) + _xlogx(in_n + left.sum() + own) - _xlogx(in_n))
+
+
 def exchange(table: np.ndarray, head: int, classes: int = CLASSES, sweeps: int = SWEEPS) -> np.ndarray:
     """Class of each row of ``table``: the first ``head`` (by frequency) are moved between ``classes``, each further row is a class of its own.
 
@@ -143,13 +236,7 @@ def exchange(table: np.ndarray, head: int, classes: int = CLASSES, sweeps: int =
             g[a] -= right
             g[:, a] -= left
             g[a, a] -= own
-            rows, cols = g[:classes], g[:, :classes].T
-            gain = (_xlogx(rows + right) - _xlogx(rows)).sum(1) + (_xlogx(cols + left) - _xlogx(cols)).sum(1)
-            d = np.arange(classes)
-            diag = g[d, d]
-            gain += 2 * _xlogx(diag) - _xlogx(diag + right[d]) - _xlogx(diag + left[d]) + _xlogx(diag + right[d] + left[d] + own) - _xlogx(diag)
-            out_n, in_n = g[:classes].sum(1), g[:, :classes].sum(0)
-            gain -= _xlogx(out_n + right.sum() + own) - _xlogx(out_n) + _xlogx(in_n + left.sum() + own) - _xlogx(in_n)
+            gain = _gain(g, classes, right, left, own)
             b = int(np.argmax(gain))
             if gain[b] <= gain[a] + 1e-9:
                 b = a
@@ -171,17 +258,12 @@ def exchange(table: np.ndarray, head: int, classes: int = CLASSES, sweeps: int =
 class Model:
     """What scoring needs: arrays by word of the dictionary, transitions by class, totals."""
 
-    def __init__(self, common: list[tuple[bytes, int]], types: np.ndarray, table: np.ndarray, n: int, v: int, ends: int, head: int = HEAD, classes: int = CLASSES, discount: float = DISCOUNT):
-        """types: distinct training words of each shape outside the head."""
+    def __init__(self, common: list[tuple[bytes, int]], of: np.ndarray, shapes: int, pairs: np.ndarray, types: np.ndarray, n: int, v: int, ends: int, discount: float = DISCOUNT):
+        """of: classes of the first common words; the others have class ``shapes`` + shape.  pairs: class bigrams.  types: distinct training words of each shape outside ``of``."""
         self.n, self.v, self.ends = n, v, ends
-        head = min(head, len(common))
-        of = exchange(table, head, classes)
-        k = int(of.max()) + 1
+        k, m = len(pairs), len(of)
         self.end = k - 1
-        self.shape_class = of[head : head + SHAPES]
-        member = np.zeros((len(of), k))
-        member[np.arange(len(of)), of] = 1
-        pairs = member.T @ table @ member
+        self.shape_class = shapes + np.arange(SHAPES)
         before, after = pairs.sum(1), pairs.sum(0)
         own = (after + 1) / (after.sum() + k)  # also for classes that training never saw
         some = (pairs > 0).sum(1)
@@ -190,14 +272,13 @@ class Model:
         self.moves = np.log10(np.where(before[:, None] > 0, p, own))
         size = np.zeros(k)
         counts = np.array([c for _, c in common], float)
-        np.add.at(size, of[:head], counts[:head])
-        in_shapes = table.sum(0)[head : head + SHAPES]
-        self.shape_base = np.log10(in_shapes + types + 1)
+        np.add.at(size, of, counts[:m])
+        self.shape_base = np.log10(after[self.shape_class] + types + 1)
         self.words = {w: i for i, (w, _) in enumerate(common)}
-        shapes = np.array([shape(w) for w, _ in common[head:]], int)
-        self.word_class = np.concatenate([of[:head], self.shape_class[shapes]]).astype(np.int32)
+        marks = np.array([shape(w) for w, _ in common[m:]], int)
+        self.word_class = np.concatenate([of, self.shape_class[marks]]).astype(np.int32)
         self.log_count = np.log10(counts + 1)
-        self.emit = np.concatenate([np.log10(counts[:head] / size[of[:head]]), self.log_count[head:] - self.shape_base[shapes]])
+        self.emit = np.concatenate([np.log10(counts[:m] / size[of]), self.log_count[m:] - self.shape_base[marks]])
 
     def parts(self, text: bytes) -> tuple[int, float, float, list[bytes]]:
         """Tokens, sum of log10(c + 1) over dictionary words and the end, log10 probability but for the counts of the other words, those words."""
@@ -219,13 +300,22 @@ class Model:
         return len(words) + 1, float(total) + log_end, float(s), rare
 
 
-def fit(train: DataFrame, counts: DataFrame, head: int = HEAD, classes: int = CLASSES, common: int = COMMON) -> Model:
+def fit(train: DataFrame, counts: DataFrame, head: int = HEAD, classes: int = CLASSES, common: int = COMMON, clustered: int = CLUSTERED) -> Model:
     """counts: ``word_counts`` of the same rows."""
     ends = train.count()
     total, v = counts.agg(F.coalesce(F.sum("c"), F.lit(0)), F.count("*")).first()
     known = most_frequent(counts, common)
-    table = bigrams(train, [w for w, _ in known[:head]])
-    return Model(known, _shape_types(counts) - np.bincount([shape(w) for w, _ in known[:head]], minlength=SHAPES), table, total + ends, v + (ends > 0), ends, head, classes)
+    words = [w for w, _ in known]
+    table, head = bigrams(train, words[:head]), min(head, len(words))
+    of = exchange(table, head, classes)
+    member = np.eye(int(of.max()) + 1)[of]
+    pairs, shapes = member.T @ table @ member, int(of.max()) - SHAPES
+    of = of[:head]
+    if shapes and len(words[:clustered]) > head:
+        of = np.concatenate([of, place_rest(train, words[:clustered], head, of, pairs, shapes)])
+        pairs = pair_counts(train, words[:clustered], of, shapes)
+    outside = _shape_types(counts) - np.bincount([shape(w) for w in words[: len(of)]], minlength=SHAPES)
+    return Model(known, of, shapes, pairs, outside, total + ends, v + (ends > 0), ends)
 
 
 def _shape_types(counts: DataFrame) -> np.ndarray:
@@ -241,12 +331,12 @@ def _shape_types(counts: DataFrame) -> np.ndarray:
     return out
 
 
-def score(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", head: int = HEAD, classes: int = CLASSES, common: int = COMMON) -> DataFrame:
+def score(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", head: int = HEAD, classes: int = CLASSES, common: int = COMMON, clustered: int = CLUSTERED) -> DataFrame:
     """Per row: doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score, both log10."""
     rows = docs.select(F.monotonically_increasing_id().alias("row"), F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).withColumn("held_out", held_out(F.col("doc_id")))
     train = rows.where("not held_out").select("text")
     counts = cut(word_counts(train))
-    model = fit(train, counts, head, classes, common)
+    model = fit(train, counts, head, classes, common, clustered)
     shared = docs.sparkSession.sparkContext.broadcast(model)
     fields = "row long, doc_id long, held_out boolean, n_tokens long, n_rare long, sum_log double, path double, rare array<string>"
     schema = arrow_schema(fields)

@@ -14,6 +14,7 @@ import pyarrow as pa
 import pytest
 import tiktoken
 import xxhash
+from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
 from linseg.llm import bm25, bpe, classlm, graph, licences, mixing, neardup, quality, simhash, tokencounts, tokenfile, toxicity
@@ -351,7 +352,7 @@ def test_field_gradient_learns_chains():
 # 7 Class-based scores
 
 
-@pytest.mark.parametrize("sizes", [{}, {"head": 50, "common": 300, "classes": 8}])
+@pytest.mark.parametrize("sizes", [{}, {"head": 50, "common": 300, "classes": 8}, {"head": 50, "common": 3000, "classes": 8, "clustered": 1000}])
 def test_class_scores(docs, edge, none, sizes):
     for df in (docs, edge):
         src = df.collect()
@@ -366,10 +367,48 @@ def test_class_scores(docs, edge, none, sizes):
         want = sorted(((r.doc_id, o, len(t) + 1, sum(c[w] > 0 for w in [*t, None]), n, round(sum(math.log10((c[w] + 1) / (n + v + 1)) for w in [*t, None]), 4)) for r, t, o in zip(src, tok, out, strict=True)), key=repr)
         got = classlm.score(df, **sizes).collect()
         assert sorted(((r.doc_id, r.held_out, r.n_tokens, r.n_known, r.train_tokens, round(r.base_score, 4)) for r in got), key=repr) == want
-        assert all(r.score < 0 for r in got)
+        train = df.where(~classlm.held_out(F.col("doc_id"))).select("text")
+        m = classlm.fit(train, classlm.word_counts(train), **sizes)
+        sized = len(m.emit) if not sizes else min(sizes.get("clustered", classlm.CLUSTERED), len(m.emit))
+        by_id = lambda x: (x[0] is None, x[0] or 0, x[1])
+        brute = sorted(zip([r.doc_id for r in src], brute_class_scores(tok, out, m, sized), strict=True), key=by_id)
+        for a, b in zip(sorted(((r.doc_id, r.score) for r in got), key=by_id), brute, strict=True):
+            assert a[0] == b[0] and a[1] == pytest.approx(b[1], rel=1e-9, abs=1e-6)
     assert classlm.score(none).count() == 0
 
 
+def brute_class_scores(tok, out, m, clustered):
+    """Log10 probabilities from the model's classes alone: bigrams, sizes and types counted anew."""
+    in_class = {w: int(m.word_class[i]) for w, i in m.words.items() if i < clustered}
+    shapes, end = int(m.shape_class[0]), m.end
+    of = lambda w: in_class[w] if w in in_class else shapes + classlm.shape(w)
+    pairs, before, after, words, types = Counter(), Counter(), Counter(), Counter(), Counter()
+    for t, o in zip(tok, out, strict=True):
+        if not o:
+            words.update(t)
+            path = [end, *map(of, t), end]
+            pairs.update(zip(path, path[1:]))
+    for (a, b), c in pairs.items():
+        before[a] += c
+        after[b] += c
+    types.update(of(w) for w in words if w not in in_class)
+    size = Counter()
+    for w, c in words.items():
+        size[of(w)] += c
+    k, total = len(m.moves), sum(after.values())
+    some = Counter(a for a, _ in pairs)
+
+    def move(a, b):
+        own = (after[b] + 1) / (total + k)
+        return (max(pairs[a, b] - 0.7, 0) + 0.7 * some[a] * own) / before[a] if before[a] else own
+
+    def emit(w):
+        c = of(w)
+        return words[w] / size[c] if w in in_class else (words[w] + 1) / (size[c] + types[c] + 1)
+
+    return [sum(math.log10(move(a, b)) for a, b in zip([end, *map(of, t)], [*map(of, t), end])) + sum(math.log10(emit(w)) for w in t) for t in tok]
+
+
 def test_class_model_adds_up():
     """Over all next tokens, unseen ones of each shape included, the probabilities sum to one."""
     rng = random.Random(0)
@@ -377,16 +416,16 @@ def test_class_model_adds_up():
     texts = [[rng.choice(words) for _ in range(8)] for _ in range(40)]
     c = Counter(w for t in texts for w in t)
     common = sorted(c.items(), key=lambda x: (-x[1], x[0]))
-    head = 4
-    place = {w: i for i, (w, _) in enumerate(common[:head])}
-    size = head + classlm.SHAPES + 1
+    of = np.array([0, 1, 2, 0])
+    size = 3 + classlm.SHAPES + 1
+    place = {w: int(of[i]) for i, (w, _) in enumerate(common[:4])}
     table = np.zeros((size, size))
     for t in texts:
-        at = [size - 1, *[place.get(w, head + classlm.shape(w)) for w in t], size - 1]
+        at = [size - 1, *[place.get(w, 3 + classlm.shape(w)) for w in t], size - 1]
         for a, b in zip(at, at[1:]):
             table[a, b] += 1
-    types = np.bincount([classlm.shape(w) for w, _ in common[head:]], minlength=classlm.SHAPES)
-    m = classlm.Model(common, types, table, 0, 0, 40, head, 3)
+    types = np.bincount([classlm.shape(w) for w, _ in common[4:]], minlength=classlm.SHAPES)
+    m = classlm.Model(common, of, 3, table, types, 0, 0, 40)
     assert np.allclose((10**m.moves).sum(1), 1)
     by: Counter = Counter()
     for w, i in m.words.items():
