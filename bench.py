@@ -19,11 +19,11 @@ def published(spark: SparkSession, sf: str) -> dict[str, list[dict]]:
     from linseg import experiments as X
 
     tables = {
-        "one_cut": X.single_cut(spark, sf),
-        "many_cuts_small": X.many_cuts_small(spark, sf),
-        "many_cuts_large": X.many_cuts_large(spark, sf, (4000, 30_000)),
+        "one_cut": X.published_single_cut(spark),
+        "many_cuts_small": X.published_many_small(spark),
+        "many_cuts_large": X.published_many_large(spark),
         "frames": X.frames(spark, sf),
-        "million_points": X.million_points(spark, sf, 300_000),
+        "million_points": X.million_points(spark, sf),
     }
     return {k: [{c: (round(v, 5) if isinstance(v, float) else v) for c, v in r.asDict().items()} for r in t.orderBy("method").collect()] for k, t in tables.items()}
 

@@ -18,19 +18,50 @@ FRAMES = ("optimal_over_cells", "optimal_over_cells_10", "cells_then_refine", "b
 
 
 def compare(sig: DataFrame, k: int | str, methods: tuple, **options) -> DataFrame:
-    """Pieces of every method on every signal."""
-    return reduce(DataFrame.unionByName, [segment(sig, k, m, **options) for m in methods])
+    """Pieces of every method on every signal; one shuffle for all methods."""
+    return segment(sig, k, tuple(methods), **options)
 
 
 def scored(sig: DataFrame, truth: DataFrame | None, k: int | str, methods: tuple, base: str, **options) -> DataFrame:
-    """method, relative run time and cost against the base, covering, Rand, counters: one row a method, as the published tables."""
-    pieces = compare(sig.persist(), k, methods, **options).persist()  # measured several times below; each search runs once
+    """One row a method, as the published tables and figures have it.
+
+    Relative run time and cost against the base, covering and Rand with the share of signals that reach 0.975 and the ninth
+    decile of what is missing to 1, the slope of log run time on log size, counters.  Rows that a penalty could not bring to the
+    asked number of pieces are left out of these and shown by ``exact``, the share of the others.
+    """
+    sig = sig.persist()
+    pieces = compare(sig, k, methods, **options).persist()  # measured several times below; each search runs once
     s = metrics.evaluate(truth, pieces) if truth is not None else scores_of(pieces).withColumn("covering", F.lit(None).cast("double")).withColumn("rand", F.lit(None).cast("double"))
-    s = s.persist()
+    s = s.join(planted.sizes(sig), "signal_id").persist()
+    exact = s.groupBy("method").agg(F.avg(F.col("exact_k").cast("double")).alias("exact"))
+    s = s.where("exact_k")
     out = metrics.relative_cost(s, base).select("method", F.col("mean_ratio").alias("relative_cost"), F.col("ratio_of_means").alias("cost_of_means"), "signals")
     out = out.join(metrics.relative_runtime(s, base).select("method", F.col("ratio_of_means").alias("relative_runtime")), "method")
-    more = s.groupBy("method").agg(F.avg("covering").alias("covering"), F.avg("rand").alias("rand"), F.avg("runtime_s").alias("seconds"), F.avg("n_fits").alias("n_fits"), F.avg("n_evals").alias("n_evals"), F.avg("sweeps").alias("sweeps"), F.avg("n_cells").alias("n_cells"))
-    return out.join(more, "method")
+    reach = lambda c: F.avg((F.col(c) >= 0.975).cast("double")).alias(f"{c}_reached")
+    short = lambda c: F.percentile(1 - F.col(c), F.lit(0.9)).alias(f"{c}_missing")
+    more = s.groupBy("method").agg(
+        F.avg("covering").alias("covering"), F.avg("rand").alias("rand"), reach("covering"), reach("rand"), short("covering"), short("rand"), F.regr_slope(F.log(F.greatest("runtime_s", F.lit(1e-6))), F.log("n")).alias("slope"), F.min("n").alias("least_n"), F.max("n").alias("most_n"),
+        F.avg("runtime_s").alias("seconds"), F.avg("n_fits").alias("n_fits"), F.avg("n_evals").alias("n_evals"), F.avg("sweeps").alias("sweeps"), F.avg("n_cells").alias("n_cells"),
+    )
+    return out.join(more, "method").join(exact, "method")
+
+
+def published_single_cut(spark: SparkSession, count: int = 200) -> DataFrame:
+    """One cut, 400 to 15,000 points, 2 to 16 dimensions."""
+    x, truth = planted.drawn_signals(spark, count, (400, 15_000), (2, 2), seed="p1")
+    return scored(x, truth, 2, SINGLE, "binary_split")
+
+
+def published_many_small(spark: SparkSession, count: int = 200) -> DataFrame:
+    """2 to 10 pieces, 50 to 2,000 points."""
+    x, truth = planted.drawn_signals(spark, count, (50, 2_000), (2, 10), seed="p2")
+    return scored(x, truth, "k", SMALL, "optimal_partition")
+
+
+def published_many_large(spark: SparkSession, count: int = 100) -> DataFrame:
+    """2 to 10 pieces, 4,000 to 175,000 points."""
+    x, truth = planted.drawn_signals(spark, count, (4_000, 175_000), (2, 10), seed="p3")
+    return scored(x, truth, "k", LARGE, "optimal_over_cells")
 
 
 def single_cut(spark: SparkSession, sf: str, amp: float = 0.5) -> DataFrame:
@@ -78,8 +109,8 @@ def one_scene(spark: SparkSession, sf: str) -> DataFrame:
     return apps.summarize(segment(sig, 7, "refine_then_merge"), 5)
 
 
-def run_time_growth(spark: SparkSession, sf: str, sizes: tuple[int, ...] = (400, 1000, 3000, 6000, 15_000), methods: tuple = ("refine_then_merge", "bottom_up_merge", "multistart_refine", "sliding_contrast", "binary_split")) -> DataFrame:
-    """Slope of log run time on log size, by method."""
+def run_time_growth(spark: SparkSession, sf: str, sizes: tuple[int, ...] = (400, 800, 1600, 3200, 6400, 12_800), methods: tuple = SINGLE) -> DataFrame:
+    """Slope of log run time on log size, by method; slices of the line items with a planted cut."""
     x, _ = planted.planted(slices(spark, sf, sizes), planted.SUPPLIER_SCALE, 2, None, "w6", 0.5, 1.0, 0.3)
     s = scores_of(compare(x, 2, methods)).withColumn("n", F.col("signal_id").cast("double"))
     return metrics.scaling_slope(s)
@@ -92,18 +123,20 @@ def mismatch(spark: SparkSession, sf: str) -> DataFrame:
 
 
 def million_points(spark: SparkSession, sf: str, n: int = 1_000_000) -> DataFrame:
-    """The scale claim: line items tiled to so many points, planted, ten pieces by refine-then-merge."""
-    base = slices(spark, sf, (60_000,))
-    times = -(-n // 60_000)
-    tiled = base.select(F.explode(F.sequence(F.lit(0), F.lit(times - 1))).alias("rep"), "pos", "x").select(F.lit("tiled").alias("signal_id"), (F.col("pos") + F.col("rep") * 60_000).alias("pos"), "x").where(F.col("pos") < n)
+    """The scale claim: all line items, tiled where they are fewer than ``n``, planted, ten pieces by refine-then-merge."""
+    base = line_items(spark, sf)
+    rows = base.count()
+    times = max(1, -(-n // max(rows, 1)))
+    tiled = base.select(F.explode(F.sequence(F.lit(0), F.lit(times - 1))).alias("rep"), "pos", "x").select(F.lit("tiled").alias("signal_id"), (F.col("pos") + F.col("rep") * rows).alias("pos"), "x").where(F.col("pos") < max(n, rows))
     sig = tiled.withColumn("t", F.col("pos").cast("double")).select("signal_id", "pos", "t", "x")
     x, truth = planted.planted(sig, planted.SUPPLIER_SCALE, 10, None, "w8", 1.0, 1.0, 0.3)
     return scored(x, truth, 10, ("refine_then_merge",), "refine_then_merge")
 
 
 def down_sampled(spark: SparkSession, sf: str, steps: tuple[int, ...] = (1, 2, 5, 10)) -> DataFrame:
-    """Search on every m-th point, then a polish on all: cost and covering by m."""
-    x, truth = planted.planted(slices(spark, sf, (30_000,)), planted.SUPPLIER_SCALE, 8, None, "w9", 1.0, 1.0, 0.3)
+    """Search on every m-th point of all line items, then a polish on all: cost and covering by m."""
+    whole = line_items(spark, sf).withColumn("signal_id", F.lit("all"))
+    x, truth = planted.planted(whole.select("signal_id", "pos", "t", "x"), planted.SUPPLIER_SCALE, 8, None, "w9", 1.0, 1.0, 0.3)
     parts = [metrics.evaluate(truth, segment(x, 8, "refine_then_merge", coarse=m)).withColumn("m", F.lit(m)) for m in steps]
     return reduce(DataFrame.unionByName, parts).select("m", "cost", "covering", "rand", "runtime_s")
 

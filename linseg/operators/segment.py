@@ -112,10 +112,14 @@ def _numpy(table: pa.Table) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return pos[order], table["t"].to_numpy()[order].astype(float), flat.reshape(len(pos), -1)[order]
 
 
-def segment(sig: DataFrame, k: int | str, method: str, cost: str = "l2_linear", on_infeasible: str = "error", **options) -> DataFrame:
-    """Pieces of every signal.  ``k``: a number, or the name of a column of ``sig``.  ``init`` may be a frame (signal_id, cuts array)."""
-    if method not in METHODS:
-        raise ValueError(f"unknown method {method!r}; one of {sorted(METHODS)}")
+def segment(sig: DataFrame, k: int | str, method: str | tuple[str, ...], cost: str = "l2_linear", on_infeasible: str = "error", **options) -> DataFrame:
+    """Pieces of every signal.  ``k``: a number, or the name of a column of ``sig``.  ``init`` may be a frame (signal_id, cuts array).
+
+    Several methods run one after the other where one shuffle has put the signal.
+    """
+    methods = (method,) if isinstance(method, str) else method
+    if unknown := set(methods) - set(METHODS):
+        raise ValueError(f"unknown method {sorted(unknown)}; one of {sorted(METHODS)}")
     fields = to_arrow_schema(T._parse_datatype_string(PIECES))
     cols = ["signal_id", "pos", "t", "x"]
     narrow = sig.select(*cols, F.col(k).cast("int").alias("k")) if isinstance(k, str) else sig.select(*cols)
@@ -132,11 +136,13 @@ def segment(sig: DataFrame, k: int | str, method: str, cost: str = "l2_linear",
         own = table["k"][0].as_py() if with_k else k
         more = {"init": np.array(table["init"][0].as_py())} if with_init else {}
         seeded = {"seed": f"{options.get('seed', '0')}|{sid}"}
-        r = run(t, x, own, method, cost, on_infeasible, **(options | seeded | more))
-        if r["error"]:
-            rows = [{"signal_id": sid, "method": method, "k": own, "error": r["error"]}]
-        else:
-            rows = [
+        rows = []
+        for method in methods:
+            r = run(t, x, own, method, cost, on_infeasible, **(options | seeded | more))
+            if r["error"]:
+                rows.append({"signal_id": sid, "method": method, "k": own, "error": r["error"]})
+                continue
+            rows += [
                 {
                     "signal_id": sid, "method": method, "seg_no": i, "start_pos": int(pos[a]), "end_pos": int(pos[b]) if b < len(pos) else int(pos[-1]) + 1, "t_start": t[a], "t_end": t[b] if b < len(t) else None,
                     "n": int(b - a), "intercept": c.tolist(), "slope": m.tolist(), "sse": e, "cost": r["cost"], "k": r["k"], "sweeps": max(0, len(r["trace"]) - 1), "n_fits": r["fits"], "n_evals": r["evals"],

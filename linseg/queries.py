@@ -757,7 +757,23 @@ def experiment_small(spark, sf):
 
 @query()
 def experiment_large(spark, sf):
-    return _rounded(X.many_cuts_large(spark, sf, (4000, 10_000)))
+    """Line items of three lengths; the published sizes are in published_many_large."""
+    return _rounded(X.many_cuts_large(spark, sf, (4000, 10_000, 30_000)))
+
+
+@query()
+def published_single_cut(spark, sf):
+    return _rounded(X.published_single_cut(spark))
+
+
+@query()
+def published_many_small(spark, sf):
+    return _rounded(X.published_many_small(spark))
+
+
+@query()
+def published_many_large(spark, sf):
+    return _rounded(X.published_many_large(spark))
 
 
 @query()
@@ -772,7 +788,7 @@ def experiment_one_scene(spark, sf):
 
 @query()
 def experiment_run_time_growth(spark, sf):
-    return _rounded(X.run_time_growth(spark, sf, (400, 3000, 6000)))
+    return _rounded(X.run_time_growth(spark, sf))
 
 
 @query()
@@ -782,7 +798,7 @@ def experiment_mismatch(spark, sf):
 
 @query()
 def experiment_million_points(spark, sf):
-    return _rounded(X.million_points(spark, sf, 200_000))
+    return _rounded(X.million_points(spark, sf))
 
 
 @query()

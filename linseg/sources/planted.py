@@ -5,7 +5,12 @@ Every number is drawn from an md5 of (seed, signal, piece, dimension, purpose),
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+import hashlib
+from collections.abc import Iterable, Iterator
+
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.columns import unit_hash
@@ -62,3 +67,47 @@ def planted(sig: DataFrame, scale: tuple, k_lo: int, k_hi: int | None = None, se
     t = truth(sizes(sig), k_lo, k_hi, len(scale), seed, amp, curv)
     x = plant(sig, t, scale, nz, noise).join(t.groupBy("signal_id").agg(F.max("k").alias("k")), "signal_id")
     return x, t.select("signal_id", "seg_no", "start_pos", "end_pos")
+
+
+def _drawn(seed: str, i: int, n_range: tuple[int, int], k_range: tuple[int, int], d_range: tuple[int, int]) -> tuple[np.random.Generator, int, int, np.ndarray]:
+    """Size, dimensions and cuts of signal i, and the generator that its values come from."""
+    rng = np.random.default_rng(int(hashlib.md5(f"{seed}|{i}".encode()).hexdigest()[:16], 16))
+    n = int(round(n_range[0] * (n_range[1] / n_range[0]) ** rng.uniform()))
+    k = int(rng.integers(k_range[0], k_range[1] + 1))
+    least = max(2, n // (4 * k))
+    inner = np.sort(rng.integers(0, n - k * least + 1, k - 1)) + least * np.arange(1, k)
+    return rng, n, int(rng.integers(d_range[0], d_range[1] + 1)), np.concatenate([[0], inner, [n]])
+
+
+def drawn_signals(spark: SparkSession, count: int, n_range: tuple[int, int], k_range: tuple[int, int] = (2, 2), d_range: tuple[int, int] = (2, 16), seed: str = "d", curve: float = 2.0, loudest: float = 0.4) -> tuple[DataFrame, DataFrame]:
+    """(signals with k, truth): sizes even on a logarithmic scale, pieces of a quarter of the mean size at least.
+
+    Pieces are lines with weak curves.  Gaussian noise, a sinusoid and impulses come on top, each at a level drawn for the signal.
+    One task makes a signal, so signals are of one task's size.
+    """
+
+    def points(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for i in (i for b in batches for i in b.column(0).to_pylist()):
+            rng, n, d, cuts = _drawn(seed, i, n_range, k_range, d_range)
+            gauss, wave, knock = rng.uniform(0.05, loudest), rng.uniform(0, loudest / 2), rng.uniform(0, 4 * loudest)
+            period, phase = rng.uniform(5, 50), rng.uniform(0, 2 * np.pi)
+            x = np.empty((n, d))
+            for a, b in zip(cuts, cuts[1:]):
+                u = np.linspace(0, 1, b - a, endpoint=False)[:, None]
+                level, tilt, bend = (rng.normal(size=d) for _ in range(3))
+                x[a:b] = level + tilt * u + curve * bend * u * (1 - u)
+            x += gauss * rng.normal(size=(n, d)) + wave * np.sin(2 * np.pi * np.arange(n) / period + phase)[:, None]
+            x += np.where(rng.uniform(size=(n, d)) < 0.005, knock * rng.choice([-1.0, 1.0], size=(n, d)), 0.0)
+            for lo in range(0, n, 20_000):
+                part = np.arange(lo, min(lo + 20_000, n))
+                values = pa.ListArray.from_arrays(pa.array(np.arange(len(part) + 1, dtype=np.int32) * d), pa.array(x[part].ravel()))
+                yield pa.RecordBatch.from_arrays([pa.array([str(i)] * len(part)), pa.array(part), pa.array(part.astype(float)), values, pa.array(np.full(len(part), len(cuts) - 1, np.int32))], names=["signal_id", "pos", "t", "x", "k"])
+
+    def pieces(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for i in (i for b in batches for i in b.column(0).to_pylist()):
+            cuts = _drawn(seed, i, n_range, k_range, d_range)[3]
+            k = len(cuts) - 1
+            yield pa.RecordBatch.from_arrays([pa.array([str(i)] * k), pa.array(np.arange(k, dtype=np.int32)), pa.array(cuts[:-1].astype(np.int64)), pa.array(cuts[1:].astype(np.int64))], names=["signal_id", "seg_no", "start_pos", "end_pos"])
+
+    ids = spark.range(count).repartition(min(count, 64), "id")
+    return ids.mapInArrow(points, "signal_id string, pos bigint, t double, x array<double>, k int"), ids.mapInArrow(pieces, "signal_id string, seg_no int, start_pos bigint, end_pos bigint")
