@@ -37,7 +37,7 @@ _STRETCH = re.compile(rf" ?[^{_WS}]+|[{_WS}]+(?![^{_WS}])|[{_WS}]+")
 #: Pieces of more bytes than this are contracted by the query for long words.
 LONG = 160
 #: Pieces, and their bytes, that one recursive query takes.
-BATCH, BATCH_BYTES = 40_000, 1 << 20
+BATCH, BATCH_BYTES = 16_000, 1 << 20
 
 #: State rows: word, position, next position, token, next token, rank of the two, still live.
 _CONTRACT = """
@@ -270,8 +270,8 @@ def digests(x: pa.Array, drop: int = 0) -> list[str]:
 
 
 @lru_cache(maxsize=2)
-def codec(rank_file: str, pattern: str) -> Codec:
-    return Codec(rank_file, pattern)
+def codec(rank_file: str, pattern: str, cache: int = GENERATION) -> Codec:
+    return Codec(rank_file, pattern, cache)
 
 
 def default_vocabulary() -> tuple[str, str]:
@@ -281,18 +281,20 @@ def default_vocabulary() -> tuple[str, str]:
     return P.path("byte_bpe_multi_50k.tiktoken"), P.PATTERN
 
 
-def encode(df: DataFrame, rank_file: str, pattern: str, id_col: str = "doc_id", text_col: str = "text", with_ids: bool = True) -> DataFrame:
-    """Per document: doc_id, n_tokens, digests of the ids and of the bytes decoded from them, and token_ids on request."""
+def encode(df: DataFrame, rank_file: str, pattern: str, id_col: str = "doc_id", text_col: str = "text", with_ids: bool = True, cache: int = GENERATION) -> DataFrame:
+    """Per document: doc_id, n_tokens, digests of the ids and of the bytes decoded from them, and token_ids on request.  cache: bytes that each of a worker's two generations of known words may hold."""
 
     def kernel(batches: Iterable[pa.RecordBatch]) -> Iterator[dict]:
         gc.disable()  # the caches hold no cycles, and walking them costs more than all else
-        c = codec(rank_file, pattern)
+        c = codec(rank_file, pattern, cache)
         for batch in batches:
             ids, back = c.encode(texts(batch, "text"))
             out = {"doc_id": batch.column(0), "n_tokens": pa.array(run_lengths(ids)), "ids_sha256": digests(c.as_text(ids), 1), "decoded_sha256": digests(back)}
             if with_ids:
                 out["token_ids"] = ids.cast(pa.list_(pa.int32()))
             yield out
+            del ids, back, out
+            release_memory()
         c.rest()
 
     return map_texts(df, id_col, text_col, kernel, "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string" + ", token_ids array<int>" * with_ids)

@@ -108,7 +108,8 @@ def keep_rows(df: DataFrame, text_col: str, verdicts: Callable[[Iterator[pa.Reco
 
 
 def release_memory() -> None:
-    """Hands freed memory back to the system, for a worker process waits beside the executor's heap."""
+    """Hands freed memory back to the system, for a worker process stands beside the executor's heap."""
+    pa.default_memory_pool().release_unused()
     with contextlib.suppress(OSError, AttributeError):  # only where the C library has it
         ctypes.CDLL(None).malloc_trim(0)
 

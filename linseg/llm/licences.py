@@ -5,7 +5,8 @@ The digest of an entire canonical text is hash-joined to the digests of known li
 joined the same way to known one-line notices.  Both tables of known digests are fixed lists, so they are broadcast.
 
 Defined results: a null text is empty, and no known text has the empty digest; repeated rows are reported each; an
-empty table gives no rows; columns other than id and text are not read.
+empty table gives no rows; texts of any length are digested whole; where two known texts share a digest the lesser name
+counts; columns other than id and text are not read, whatever their names.
 """
 
 from __future__ import annotations
@@ -41,14 +42,32 @@ _BSD_START = (
     "1. Redistributions of source code must retain the above copyright notice, this list of conditions and the following disclaimer.\n"
     "2. Redistributions in binary form must reproduce the above copyright notice, this list of conditions and the following disclaimer in the documentation and/or other materials provided with the distribution.\n"
 )
+_GRANT = (
+    'Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files (the "Software"), to deal in the Software without '
+    "restriction, including without limitation the rights to use, copy, modify, merge, publish, distribute, sublicense, and/or sell copies of the Software, and to permit persons to whom the Software is furnished to do so"
+)
+_AUTHOR = (
+    'THE SOFTWARE IS PROVIDED "AS IS" AND THE AUTHOR DISCLAIMS ALL WARRANTIES WITH REGARD TO THIS SOFTWARE INCLUDING ALL IMPLIED WARRANTIES OF MERCHANTABILITY AND FITNESS. IN NO EVENT SHALL THE '
+    "AUTHOR BE LIABLE FOR ANY SPECIAL, DIRECT, INDIRECT, OR CONSEQUENTIAL DAMAGES OR ANY DAMAGES WHATSOEVER RESULTING FROM LOSS OF USE, DATA OR PROFITS, WHETHER IN AN ACTION OF CONTRACT, "
+    "NEGLIGENCE OR OTHER TORTIOUS ACTION, ARISING OUT OF OR IN CONNECTION WITH THE USE OR PERFORMANCE OF THIS SOFTWARE."
+)
 #: Entire licence texts (fixed values); a parameter of ``scan``.
 LICENCES = {
+    "MIT-0": "MIT No Attribution\n" + _GRANT + ".\n" + _AS_IS + " AND NONINFRINGEMENT. IN NO EVENT SHALL THE AUTHORS OR COPYRIGHT HOLDERS BE LIABLE FOR ANY CLAIM, DAMAGES OR OTHER LIABILITY, WHETHER IN AN ACTION OF CONTRACT, TORT OR OTHERWISE, ARISING FROM, OUT OF OR IN CONNECTION WITH THE SOFTWARE OR THE USE OR OTHER DEALINGS IN THE SOFTWARE.",
+    "0BSD": "Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted.\n" + _AUTHOR,
+    "Zlib": "zlib License\nThis software is provided 'as-is', without any express or implied warranty. In no event will the authors be held liable for any damages arising from the use of this software.\nPermission is granted to anyone to use this software for any purpose, including commercial applications, and to alter it and redistribute it freely, subject to the following restrictions:\n1. The origin of this software must not be misrepresented; you must not claim that you wrote the original software. If you use this software in a product, an acknowledgment in the product documentation would be appreciated but is not required.\n2. Altered source versions must be plainly marked as such, and must not be misrepresented as being the original software.\n3. This notice may not be removed or altered from any source distribution.",
+    "BSL-1.0": "Boost Software License - Version 1.0 - August 17th, 2003\nPermission is hereby granted, free of charge, to any person or organization obtaining a copy of the software and accompanying documentation covered by this license (the \"Software\") to use, reproduce, display, distribute, execute, and transmit the Software, and to prepare derivative works of the Software, and to permit third-parties to whom the Software is furnished to do so, all subject to the following:\nThe copyright notices in the Software and this entire statement, including the above license grant, this restriction and the following disclaimer, must be included in all copies of the Software, in whole or in part, and all derivative works of the Software, unless such copies or derivative works are solely in the form of machine-executable object code generated by a source language processor.\n"
+    + _AS_IS + ", TITLE AND NON-INFRINGEMENT. IN NO EVENT SHALL THE COPYRIGHT HOLDERS OR ANYONE DISTRIBUTING THE SOFTWARE BE LIABLE FOR ANY DAMAGES OR OTHER LIABILITY, WHETHER IN CONTRACT, TORT OR OTHERWISE, ARISING FROM, OUT OF OR IN CONNECTION WITH THE SOFTWARE OR THE USE OR OTHER DEALINGS IN THE SOFTWARE.",
+    "Unlicense": "This is free and unencumbered software released into the public domain.\nAnyone is free to copy, modify, publish, use, compile, sell, or distribute this software, either in source code form or as a compiled binary, for any purpose, commercial or non-commercial, and by any means.\nIn jurisdictions that recognize copyright laws, the author or authors of this software dedicate any and all copyright interest in the software to the public domain. We make this dedication for the benefit of the public at large and to the detriment of our heirs and successors. We intend this dedication to be an overt act of relinquishment in perpetuity of all present and future rights to this software under copyright law.\n"
+    + _AS_IS + " AND NONINFRINGEMENT. IN NO EVENT SHALL THE AUTHORS BE LIABLE FOR ANY CLAIM, DAMAGES OR OTHER LIABILITY, WHETHER IN AN ACTION OF CONTRACT, TORT OR OTHERWISE, ARISING FROM, OUT OF OR IN CONNECTION WITH THE SOFTWARE OR THE USE OR OTHER DEALINGS IN THE SOFTWARE.\nFor more information, please refer to <https://unlicense.org>",
     "MIT": "MIT License\nCopyright (c)\nPermission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files (the \"Software\"), to deal in the Software without restriction, including without limitation the rights to use, copy, modify, merge, publish, distribute, sublicense, and/or sell copies of the Software, and to permit persons to whom the Software is furnished to do so, subject to the following conditions:\nThe above copyright notice and this permission notice shall be included in all copies or substantial portions of the Software.\n"
     + _AS_IS + " AND NONINFRINGEMENT. IN NO EVENT SHALL THE AUTHORS OR COPYRIGHT HOLDERS BE LIABLE FOR ANY CLAIM, DAMAGES OR OTHER LIABILITY, WHETHER IN AN ACTION OF CONTRACT, TORT OR OTHERWISE, ARISING FROM, OUT OF OR IN CONNECTION WITH THE SOFTWARE OR THE USE OR OTHER DEALINGS IN THE SOFTWARE.",
     "ISC": "ISC License\nPermission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted, provided that the above copyright notice and this permission notice appear in all copies.\nTHE SOFTWARE IS PROVIDED \"AS IS\" AND THE AUTHOR DISCLAIMS ALL WARRANTIES WITH REGARD TO THIS SOFTWARE INCLUDING ALL IMPLIED WARRANTIES OF MERCHANTABILITY AND FITNESS. IN NO EVENT SHALL THE AUTHOR BE LIABLE FOR ANY SPECIAL, DIRECT, INDIRECT, OR CONSEQUENTIAL DAMAGES OR ANY DAMAGES WHATSOEVER RESULTING FROM LOSS OF USE, DATA OR PROFITS, WHETHER IN AN ACTION OF CONTRACT, NEGLIGENCE OR OTHER TORTIOUS ACTION, ARISING OUT OF OR IN CONNECTION WITH THE USE OR PERFORMANCE OF THIS SOFTWARE.",
     "BSD-2-Clause": _BSD_START + _BSD_END,
     "BSD-3-Clause": _BSD_START + "3. Neither the name of the copyright holder nor the names of its contributors may be used to endorse or promote products derived from this software without specific prior written permission.\n" + _BSD_END,
 }
+#: A licence is the same with or without its title line.
+TITLED = ("MIT", "MIT-0", "ISC", "Zlib", "BSL-1.0")
 #: One-line notices (fixed values), the licence that each names.
 NOTICES = {
     "Released under the MIT License.": "MIT",
@@ -81,6 +100,11 @@ def digest(lines: Column) -> Column:
     return F.sha2(F.replace(lines, F.lit("\n"), F.lit(" ")), 256)
 
 
+def with_untitled(licences: dict[str, str]) -> dict[str, str]:
+    """Names by text, titled ones without their title line as well."""
+    return {t: n for n, text in licences.items() for t in ([text, text.split("\n", 1)[1]] if n in TITLED else [text])}
+
+
 def known(spark, texts: dict[str, str]) -> DataFrame:
     """known_digest, name; one row for each digest, the first name where several share it."""
     rows = spark.createDataFrame([(t, n) for t, n in texts.items()], "t string, n string")
@@ -90,9 +114,9 @@ def known(spark, texts: dict[str, str]) -> DataFrame:
 def scan(docs: DataFrame, licences: dict[str, str] | None = None, notices: dict[str, str] | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Per row: doc_id, text_digest, license (of the entire text, else null), n_notices (lines), notices (names, sorted, joined by commas)."""
     spark = docs.sparkSession
-    whole = known(spark, {v: k for k, v in (LICENCES if licences is None else licences).items()})
+    whole = known(spark, with_untitled(LICENCES) if licences is None else {v: k for k, v in licences.items()})
     lines = known(spark, NOTICES if notices is None else notices)
-    row = docs.select(F.monotonically_increasing_id().alias("__row"), F.col(id_col).cast("long").alias("doc_id"), canonical(F.col(text_col)).alias("c"))
+    row = docs.select(F.monotonically_increasing_id().alias("__row"), F.col(f"`{id_col}`").cast("long").alias("doc_id"), canonical(F.col(f"`{text_col}`")).alias("c"))
     found = (
         row.select("__row", "doc_id", digest(F.col("c")).alias("text_digest"), F.explode(F.split("c", "\n")).alias("line"))
         .withColumn("line_digest", F.sha2("line", 256))
@@ -119,7 +143,7 @@ def oracle() -> str:
     table = lambda d: ", ".join(f"({_sql_text(t)}, {_sql_text(n)})" for t, n in d.items())
     tail = "sha256(replace({}, chr(10), ' '))"
     return f"""
-with whole as (select {tail.format(_sql_canonical("t"))} d, min(n) n from (values {table({v: k for k, v in LICENCES.items()})}) x(t, n) group by 1),
+with whole as (select {tail.format(_sql_canonical("t"))} d, min(n) n from (values {table(with_untitled(LICENCES))}) x(t, n) group by 1),
 lines as (select {tail.format(_sql_canonical("t"))} d, min(n) n from (values {table(NOTICES)}) x(t, n) group by 1),
 c as (select row_number() over () r, doc_id, {_sql_canonical("text")} c from documents),
 l as (select r, doc_id, {tail.format("c")} text_digest, sha256(unnest(string_split(c, chr(10)))) d from c)

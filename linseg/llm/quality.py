@@ -6,7 +6,9 @@ document's and are then re-decoded inside bad documents.  Viterbi decoding label
 document stays where enough of its words stand in content lines.
 
 Defined results: a null text has no words and fails the base rule; lines without a word take no part; without labels
-of both kinds the verdict is the base rule's; repeated rows are judged each; columns other than id and text are not read.
+of both kinds the verdict is the base rule's; repeated rows are judged each; texts of any length are judged whole; of equal
+label sequences the one that ends in content counts, and a content share equal to the threshold stays; columns other than id
+and text are not read, whatever their names.
 """
 
 from __future__ import annotations
@@ -21,8 +23,8 @@ from pyspark.sql import functions as F
 
 from .common import keep_rows, map_texts, utf8
 
-#: Labelled documents, of least md5 of their id, that the field is fitted on.
-SAMPLE = 4000
+#: Labelled documents, of least md5 of their id, that the field is fitted on; those of over so many lines are not fitted on, so that the driver's rows are bounded.
+SAMPLE, LINES = 4000, 2000
 #: Share of good sample documents that the content threshold must keep.
 KEEP_GOOD = 0.995
 #: Base rule: fewer words fail; so does a larger share of words in repeated windows, in hundredths.
@@ -203,7 +205,7 @@ def fit_rows(rows: list[tuple[np.ndarray, np.ndarray, int]], rounds: int = 3, ke
 
 
 def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", sample: int = SAMPLE) -> Field | None:
-    """Field from the labelled documents of least md5(id), at most ``sample``; only their line features reach the driver."""
+    """Field from the labelled documents of least md5(id), at most ``sample``; only line features reach the driver."""
     picked = labels.where("quality is not null and doc_id is not null").select(F.col("doc_id").alias("id"), F.col("quality").cast("int").alias("q"))
     picked = picked.orderBy(F.md5(F.col("id").cast("string")), "id").limit(sample)
     rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")).join(F.broadcast(picked), "id").select((F.col("id") * 2 + F.col("q")).alias("doc_id"), "text")
@@ -211,8 +213,8 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
     def kernel(batches: Iterable[pa.RecordBatch]) -> Iterator[dict]:
         for batch in batches:
             got = [describe(x) for x in utf8(batch, "text")]
-            for d in got:  # the base rule decides on these
-                if d.failed:
+            for d in got:  # the base rule decides on the failed ones
+                if d.failed or len(d.words) > LINES:
                     d.features, d.words = [], []
             yield {"doc_id": batch.column(0), "f": [[v for row in d.features for v in row] for d in got], "w": [d.words for d in got]}
 

@@ -293,6 +293,14 @@ def test_licence_texts_in_disguise(spark, none):
     assert licences.scan(none).count() == 0
 
 
+def test_every_licence_is_found_and_edges_are_not(spark, edge):
+    texts = [(i, n, t) for i, (t, n) in enumerate(licences.with_untitled(licences.LICENCES).items())]
+    planted = spark.createDataFrame([(i, "(c) 2001 A\n" + t.replace(" ", "  ").lower()) for i, _, t in texts], "doc_id long, text string")
+    assert {r.doc_id: r.license for r in licences.scan(planted).collect()} == {i: n for i, n, _ in texts}
+    got = licences.scan(edge.withColumn("name", F.lit("x")).withColumn("known_digest", F.lit("y"))).collect()  # long texts, clashing names, repeated rows
+    assert len(got) == len(EDGE) and not any(r.license or r.n_notices for r in got)
+
+
 # 6 Quality
 
 
@@ -325,6 +333,33 @@ def test_quality_counts_and_verdicts(docs, labels, edge, none):
     assert quality.assess(edge, None).where("kept = base_failed").count() == 0
 
 
+def test_verdicts_by_a_plain_decoder(docs, labels, edge):
+    field = quality.fit(docs, labels)
+    for df in (docs, edge):
+        got = sorted(((r.doc_id is None, r.doc_id or 0, r.content_share, r.kept) for r in quality.assess(df, field).collect()))
+        want = []
+        for r in df.collect():
+            lines, seen, rows_, sizes = (r.text or "").encode().split(b"\n"), set(), [], []
+            for line in lines:
+                if own := line.split():
+                    rows_.append(quality.line_features(line, own, line in seen))
+                    seen.add(line)
+                    sizes.append(len(own))
+            paths = {0: (0.0, []), 1: (0.0, [])}
+            for i, f in enumerate(rows_):
+                e = float(np.dot(f, field.weights))
+                step = {}
+                for y in (0, 1):
+                    before = max((paths[p][0] + (field.moves[p][y] if i else 0.0), -p) for p in (0, 1)) if i else (0.0, -y)
+                    step[y] = (before[0] + e * y, [*(paths[-before[1]][1] if i else []), y])
+                paths = step
+            best = paths[1] if paths[1][0] > paths[0][0] else paths[0]
+            share = sum(n for n, y in zip(sizes, best[1]) if not y) / sum(sizes) if sizes else 0.0
+            want.append((r.doc_id is None, r.doc_id or 0, share, not brute_base(r.text)[-1] and share >= field.threshold))
+        for a, b in zip(got, sorted(want), strict=True):
+            assert a[:2] == b[:2] and a[2] == pytest.approx(b[2]) and a[3] == b[3]
+
+
 def test_viterbi_is_the_best_path():
     from itertools import product
 
@@ -515,6 +550,27 @@ def test_toxicity_on_rows_it_did_not_see(spark, edge, none):
     assert kept.columns == docs.columns and kept.count() == toxicity.score(docs, lex).where("predicted = 0").count()
 
 
+def test_scores_by_plain_matching(spark, edge):
+    big = "/root/testdata/sf0.01"
+    docs, labels = load(spark, big, "documents"), load(spark, big, "labels")
+    lex = toxicity.fit(docs, labels)
+
+    def brute(text):
+        words = toxicity.fold(text).split()
+        safe = {j + i for p in lex.exceptions for j in range(len(words)) if words[j : j + len(p.split())] == p.split() for i in range(len(p.split()))}
+        found = [max([lex.weights.get(f" {w} ", 0.0)] + [lex.weights.get(f" {w[:k]}", 0.0) for k in range(1, len(w) + 1)]) for i, w in enumerate(words) if i not in safe]
+        found = [x for x in found if x]
+        x = [1.0, 20.0 * sum(found) / (len(words) + 20), math.log1p(sum(found)), max(found, default=0.0), math.log1p(len(found))]
+        z = sum(a * b for a, b in zip(lex.curve, x))
+        return 1 / (1 + math.exp(-max(-60, min(60, z))))
+
+    assert lex.weights and lex.curve
+    for df in (docs, edge):
+        want = sorted(((r.doc_id is None, r.doc_id or 0, s, int(s >= 0.7)) for r in df.collect() for s in [brute(r.text or "")]))
+        for a, b in zip(sorted((r.doc_id is None, r.doc_id or 0, r.score, r.predicted) for r in toxicity.score(df, lex).collect()), want, strict=True):
+            assert a[:2] == b[:2] and a[2] == pytest.approx(b[2], abs=1e-9) and a[3] == b[3]
+
+
 def test_folding_and_exceptions():
     assert toxicity.fold("Y0u 1DIOT!! cl​оwn, Ｔrash") == " you idiot clown trash "
     lex = toxicity.Lexicon({" trash": 2.0, " idiot ": 3.0}, ("trash can",))

@@ -6,7 +6,7 @@ import corpus_pipeline as pipe
 import pytest
 import tiktoken
 
-from linseg.llm import bpe, mixing, quality, simhash, toxicity
+from linseg.llm import bpe, mixing, neardup, quality, toxicity
 from linseg.llm.common import load
 
 SF = "/root/testdata/sf0.001"
@@ -24,7 +24,7 @@ def test_stages(spark):
     b = step["toxicity"](spark, a, SF)
     assert ids(b) == ids(toxicity.score(a, toxicity.fit(a, labels)).where("predicted = 0")) and b.columns == docs.columns
     c = step["near_duplicates"](spark, b, SF)
-    assert ids(c) == sorted({r.component_id for r in simhash.groups(b).collect()}) and c.columns == docs.columns
+    assert ids(c) == sorted({r.component_id for r in neardup.groups(b).collect()}) and c.columns == docs.columns
     d = step["mixing"](spark, c, SF)
     assert ids(d) == ids(mixing.mix(c).where("kept")) and d.columns == docs.columns
     e = step["byte_bpe"](spark, d, SF).collect()
@@ -40,6 +40,10 @@ def test_stages(spark):
 def test_stages_on_odd_tables(spark, kind):
     rows = [] if kind == "none" else [(None, None, None, None, None), (1, "", "en", "s", 0), (2, "word " * 50, None, "s", 1), (2, "word " * 50, None, "s", 1), (3, "A plain line of words that says a few things about the day.", "en", None, 9)]
     docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long")
+    if kind == "odd":  # a long text, and columns named as the operators' own
+        plain = "A plain line of words that says a few things about the day. "
+        docs = docs.unionByName(spark.createDataFrame([(9, "\n".join(f"{plain}{i} {i * 7}." for i in range(4000)), "en", "s", 1)], docs.schema))
+        docs = docs.selectExpr("*", "1.5 as __p", "'m' as __mix", "true as kept", "'d' as digest", "2L as root", "'r' as r")
     for name, stage in pipe.STAGES:
         out = stage(spark, docs, SF)
         out.count()
