@@ -92,14 +92,14 @@ def uniform_pieces(sig: DataFrame, k: int) -> DataFrame:
 
 
 def cut_curve(sig: DataFrame, d: int, gamma: int = 2, by: list[str] = ["signal_id"]) -> DataFrame:  # noqa: B006
-    """Cost of cutting each group in two at each place, and uncut: one window for both, no join."""
+    """Cost of cutting each group in two at each place, and uncut, and its points n: one window for all, no join."""
     run = Window.partitionBy(*by).orderBy("pos").rowsBetween(Window.unboundedPreceding, Window.currentRow)
     whole = Window.partitionBy(*by)
     terms = C.sum_terms(d)
     cols = sig.select(*by, "pos", *[F.sum(e).over(run).alias(f"l_{n}") for n, e in terms.items()], *[F.sum(e).over(whole).alias(f"a_{n}") for n, e in terms.items()])
     left, right = (lambda n: F.col(f"l_{n}")), (lambda n: F.col(f"a_{n}") - F.col(f"l_{n}"))
     good = cols.where((F.col("l_n") >= gamma) & (F.col("a_n") - F.col("l_n") >= gamma))
-    return good.select(*by, (F.col("pos") + 1).alias("cut"), (C.line_cost(left, d) + C.line_cost(right, d)).alias("cost"), C.line_cost(lambda n: F.col(f"a_{n}"), d).alias("whole"))
+    return good.select(*by, (F.col("pos") + 1).alias("cut"), (C.line_cost(left, d) + C.line_cost(right, d)).alias("cost"), C.line_cost(lambda n: F.col(f"a_{n}"), d).alias("whole"), F.col("a_n").cast("bigint").alias("n"))
 
 
 def best_single_cut(sig: DataFrame, d: int, gamma: int = 2, by: list[str] = ["signal_id"]) -> DataFrame:  # noqa: B006

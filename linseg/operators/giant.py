@@ -8,6 +8,7 @@ join in order by an associative rule, the leftmost minimum winning.
 
 from __future__ import annotations
 
+from bisect import bisect_right
 from collections.abc import Iterable, Iterator
 
 import numpy as np
@@ -103,7 +104,8 @@ class Blocks:
         if not jobs:
             return cuts
         t0, span, origin, d = self.t0, self.span, self.origin, self.d
-        lo, hi = min(j[1] for j in jobs), max(j[2] for j in jobs)
+        lefts, rights = [j[1] for j in jobs], [j[2] for j in jobs]  # disjoint, so both ascend
+        lo, hi = lefts[0], rights[-1]
         schema = pa.schema([("pair", pa.int32()), ("block", pa.int32()), ("total", pa.float64()), ("least", pa.float64()), ("at", pa.int64())])
 
         def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -116,7 +118,7 @@ class Blocks:
                 for a, b in zip(edges, edges[1:]):
                     if a == b:
                         continue
-                    for p, left, right in jobs:
+                    for p, left, right in jobs[bisect_right(rights, pos[a]) : bisect_right(lefts, pos[b - 1])]:
                         i, j = a + np.searchsorted(pos[a:b], left), a + np.searchsorted(pos[a:b], right)
                         if i >= j:
                             continue
@@ -266,3 +268,17 @@ def _strict(p, d: int, k: int):
     out = p.iloc[starts].copy()
     out[C.sum_names(d)] = np.add.reduceat(p[C.sum_names(d)].to_numpy(float), starts, 0)
     return out
+
+
+def pieces(blocks: Blocks, cuts: list[int], signal_id: str, method: str, trace: list[float], seconds: float) -> list[dict]:
+    """The model as rows of ``spec.PIECES``, in the signal's own units."""
+    c, m, cost = blocks.lines(blocks.pieces(cuts))
+    slope = m / blocks.span
+    level = c + blocks.origin - slope * (blocks.t0 + 0.5 * blocks.span)
+    return [
+        {
+            "signal_id": signal_id, "method": method, "seg_no": i, "start_pos": int(a), "end_pos": int(b), "n": int(b - a), "intercept": level[i].tolist(), "slope": slope[i].tolist(), "sse": float(cost[i]), "cost": float(cost.sum()), "k": len(cuts) - 1,
+            "sweeps": max(0, len(trace) - 1), "runtime_s": seconds, "trace": [float(v) for v in trace] if i == 0 else None, "exact_k": True,
+        }
+        for i, (a, b) in enumerate(zip(cuts, cuts[1:]))
+    ]

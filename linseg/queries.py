@@ -16,7 +16,7 @@ from .operators import segment as S
 from .plans import regime, sql
 from .sources import builders as B
 from .sources import planted as P
-from .sources.tables import load_table, shared_folder
+from .sources.tables import cut_lineage, load_table, shared_folder
 from .streaming import cuts as online
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -438,12 +438,11 @@ def correlate_cuts(spark, sf):
 def _two(spark, sf):
     """Truth of the planted suppliers; the best cut and the middle one as two methods."""
     x, truth = _planted(spark, sf)
-    n = P.sizes(x)
-    best = fit.best_single_cut(x, 4).select("signal_id", F.lit("best").alias("method"), "cut", "cost")
-    mid = fit.cut_curve(x, 4).join(n, "signal_id").where("cut = floor(n / 2)").select("signal_id", F.lit("middle").alias("method"), "cut", "cost")
-    both = best.unionByName(mid).join(n, "signal_id")
+    middle = F.floor(F.col("n") / 2)
+    ends = fit.cut_curve(x, 4).groupBy("signal_id").agg(F.min(F.struct("cost", "cut")).alias("b"), F.max(F.when(F.col("cut") == middle, F.struct("cost", "cut"))).alias("m"), F.max("n").alias("n"))
+    both = ends.select("signal_id", "n", F.explode(F.array(F.struct(F.lit("best").alias("method"), "b.cost", "b.cut"), F.struct(F.lit("middle").alias("method"), "m.cost", "m.cut"))).alias("c")).select("signal_id", "n", "c.*")
     rows = F.explode(F.array(F.struct(F.lit(0).alias("seg_no"), F.lit(0).cast("bigint").alias("start_pos"), F.col("cut").alias("end_pos")), F.struct(F.lit(1).alias("seg_no"), F.col("cut").alias("start_pos"), F.col("n").alias("end_pos")))).alias("p")
-    return truth, both.select("signal_id", "method", "cost", rows).select("signal_id", "method", "cost", "p.*")
+    return cut_lineage(truth), cut_lineage(both.select("signal_id", "method", "cost", rows).select("signal_id", "method", "cost", "p.*"))  # a few rows a signal, read several times
 
 
 _TWO = f"""{_BEST_PLANTED},

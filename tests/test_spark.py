@@ -140,3 +140,19 @@ def test_entry_points(spark):
 
     assert e.entry(spark).count() == 7
     assert set(e.oracle_sql()) <= set(e.queries())
+
+
+@pytest.mark.parametrize("method", ["refine_boundaries", "refine_then_merge"])
+def test_one_entry_for_any_size(spark, method):
+    from linseg.operators.anysize import segment_any
+
+    sig = B.supplier_signal(spark, SF)
+    want = {(r.signal_id, r.seg_no): r for r in S.segment(sig, 4, method, order="odd_even").collect()}
+    got = segment_any(sig, 4, method, most_points=595, block=64, order="odd_even").collect()
+    assert len(got) == len(want)
+    for r in got:
+        w = want[r.signal_id, r.seg_no]
+        assert (r.start_pos, r.end_pos, r.n) == (w.start_pos, w.end_pos, w.n) and r.sse == pytest.approx(w.sse, rel=1e-6)
+        assert list(r.slope) == pytest.approx(list(w.slope), rel=1e-5, abs=1e-6) and list(r.intercept) == pytest.approx(list(w.intercept), rel=1e-5, abs=1e-6)
+    errors = segment_any(sig, 2, "optimal_partition", most_points=595).where("error is not null").collect()
+    assert errors and all("blocks" in r.error for r in errors)
