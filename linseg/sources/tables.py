@@ -22,9 +22,10 @@ def write_pieces(pieces: DataFrame, path: str, mode: str = "overwrite") -> None:
     pieces.write.mode(mode).partitionBy("method").parquet(path)
 
 
-def write_pyramid(moments: DataFrame, table: str, buckets: int = 64) -> None:
-    """Block moments bucketed and sorted by signal and block, so that later joins need no shuffle."""
-    moments.write.mode("overwrite").bucketBy(buckets, "signal_id").sortBy("signal_id", "block").saveAsTable(table)
+def write_pyramid(moments: DataFrame, table: str, buckets: int = 64, path: str | None = None) -> None:
+    """Block moments bucketed and sorted by signal and block, so that later joins need no shuffle; below ``path``, or in the warehouse."""
+    writer = moments.write.mode("overwrite").bucketBy(buckets, "signal_id").sortBy("signal_id", "block")
+    (writer.option("path", path) if path else writer).saveAsTable(table)
 
 
 def read_stream(spark: SparkSession, path: str, schema) -> DataFrame:
