@@ -43,3 +43,12 @@ def test_rounds_end_at_k_pieces(spark):
     assert sum(r.n for r in got if r.signal_id == "b") == 10
     users = QUERIES["bottom_up_rounds"](spark, SF).groupBy("signal_id").count().collect()
     assert len(users) == 15 and all(r["count"] == 3 for r in users)
+
+
+def test_partitions_of_every_users_events(spark):
+    from linseg.kernels.refine import partitions, printed_partitions
+
+    sizes = {str(r.user_id): r["count"] for r in spark.read.parquet(f"{SF}/events.parquet").groupBy("user_id").count().collect()}
+    got = QUERIES["partition_count"](spark, SF).collect()
+    assert {(r.signal_id, r.n) for r in got} == set(sizes.items()) and len(got) == 9 * len(sizes)
+    assert all((r.partitions, r.printed) == (partitions(r.n, r.k, r.gamma), printed_partitions(r.n, r.k)) for r in got)
