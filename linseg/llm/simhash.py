@@ -42,22 +42,26 @@ MASKS = covering(list(range(64)))
 DEEPER = [[m | d for d in covering([i for i in range(64) if not m >> i & 1])] for m in MASKS]
 
 
-def _signed(x: int) -> int:
+def signed(x: int) -> int:
     return x - (1 << 64) if x >> 63 else x
 
 
-def fingerprint(text: bytes, words: int = 3, seed: int = SEED) -> int:
-    """Unsigned SimHash of a UTF-8 text's word shingles."""
+def digests(text: bytes, words: int = 3, seed: int = SEED) -> bytes:
+    """Hashes of a UTF-8 text's word shingles, repeats included, eight bytes each; fewer words are one shingle, none have none."""
     w = text.translate(LOWER).split()
     if not w:
-        return 0
+        return b""
     line = b" ".join(w)
+    digest = xxhash.xxh64_digest
     if len(w) <= words:
-        return xxhash.xxh64_intdigest(line, seed)
+        return digest(line, seed)
     ends = np.cumsum(np.fromiter(map(len, w), np.int64, len(w)) + 1) - 1
     starts = np.concatenate([[0], ends[:-1] + 1])
-    digest = xxhash.xxh64_digest
-    hashes = b"".join([digest(line[a:b], seed) for a, b in zip(starts[: 1 - words].tolist(), ends[words - 1 :].tolist(), strict=True)])
+    return b"".join([digest(line[a:b], seed) for a, b in zip(starts[: 1 - words].tolist(), ends[words - 1 :].tolist(), strict=True)])
+
+
+def folded(hashes: bytes) -> int:
+    """Unsigned SimHash of shingle hashes."""
     n = len(hashes) // 8
     ones = np.zeros(64, np.int64)
     rows = np.frombuffer(hashes, np.uint8).reshape(n, 8)
@@ -66,13 +70,18 @@ def fingerprint(text: bytes, words: int = 3, seed: int = SEED) -> int:
     return int.from_bytes(np.packbits(2 * ones > n).tobytes(), "big")
 
 
+def fingerprint(text: bytes, words: int = 3, seed: int = SEED) -> int:
+    """Unsigned SimHash of a UTF-8 text's word shingles."""
+    return folded(digests(text, words, seed))
+
+
 def fingerprints(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 3, digest: bool = False) -> DataFrame:
     """doc_id and fp, the fingerprint's 64 bits as a signed long; the text's digest on request."""
 
     def kernel(batches: Iterable[pa.RecordBatch]) -> Iterator[dict]:
         for batch in batches:
             got = utf8(batch, "text")
-            yield {"doc_id": batch.column(0), "fp": [_signed(fingerprint(x, words)) for x in got]} | ({"digest": [md5_of(x) for x in got]} if digest else {})
+            yield {"doc_id": batch.column(0), "fp": [signed(fingerprint(x, words)) for x in got]} | ({"digest": [md5_of(x) for x in got]} if digest else {})
 
     return map_texts(df, id_col, text_col, kernel, "doc_id long, fp long" + ", digest string" * digest)
 
@@ -139,13 +148,13 @@ def _meet(keyed: DataFrame, limit: int | None) -> DataFrame:
 
 def links(fps: DataFrame, group: int = GROUP) -> DataFrame:
     """Edges (a, b) between distinct fingerprints (column fp) whose components are those of all pairs within the radius."""
-    tables = F.array(*[F.struct(F.lit(i).alias("v"), F.col("fp").bitwiseAND(_signed(m)).alias("key")) for i, m in enumerate(MASKS)])
+    tables = F.array(*[F.struct(F.lit(i).alias("v"), F.col("fp").bitwiseAND(signed(m)).alias("key")) for i, m in enumerate(MASKS)])
     first = cut(_meet(fps.select(F.explode(tables).alias("t"), "fp").select("t.v", "t.key", "fp"), group))
     near = first.where("not hot").select("a", "b")
     hot = first.where("hot").select("v", F.col("b").alias("fp"))
     if hot.isEmpty():
         return near
-    deeper = F.element_at(F.array(*[F.array(*[F.lit(_signed(m)) for m in row]) for row in DEEPER]), F.col("v") + 1)
+    deeper = F.element_at(F.array(*[F.array(*[F.lit(signed(m)) for m in row]) for row in DEEPER]), F.col("v") + 1)
     again = hot.select("v", "fp", F.posexplode(deeper).alias("u", "mask")).select(
         (F.col("v") * len(MASKS) + F.col("u")).alias("v"), F.col("fp").bitwiseAND(F.col("mask")).alias("key"), "fp"
     )

@@ -7,7 +7,7 @@ import corpus_pipeline as pipe
 import numpy as np
 import pytest
 
-from linseg.llm import neardup
+from linseg.llm import graph, neardup, simhash
 from linseg.llm.common import LOWER, load
 
 SF = "/root/testdata/sf0.001"
@@ -95,3 +95,23 @@ def test_parities_never_show_too_many_differences():
         a = np.unique(rng.integers(-(2**63), 2**63 - 1, n))
         b = np.unique(np.concatenate([a[: n // 2 + 1], rng.integers(-(2**63), 2**63 - 1, n // 3)]))
         assert neardup.differences(neardup.parity(a), neardup.parity(b)) <= len(np.setxor1d(a, b)) and neardup.differences(neardup.parity(a), neardup.parity(a)) == 0
+
+
+def test_fingerprints_come_first(spark, rows):
+    """The covering tables join exactly the classes whose five-word fingerprints a chain of up to three bits joins."""
+    rng = random.Random(5)
+    base = [f"v{rng.randrange(900)}" for _ in range(700)]
+    more = [" ".join([*base[:at], "new", *base[at + 1 :]]) for at in range(0, 700, 7)]
+    docs = neardup.prefixes(spark.createDataFrame([*rows, *enumerate(more, 1000)], "doc_id long, text string"), "doc_id", "text", (np.zeros(0, np.int64), np.zeros(0, np.int64))).cache()
+    given = {r.doc_id: r.fp for r in docs.where("doc_id >= 1000").collect()}
+    assert all(given[i] == simhash.signed(simhash.fingerprint(x.encode(), 5)) for i, x in enumerate(more, 1000))
+    one = {r.s: r.fp for r in docs.groupBy("s").agg({"fp": "min"}).withColumnRenamed("min(fp)", "fp").collect()}
+    names = sorted(one)
+    met = [(r.a, r.b) for r in neardup._met_by_fingerprint(docs).collect()]
+    near = [(a, b) for a, b in combinations(names, 2) if ((one[a] ^ one[b]) & (2**64 - 1)).bit_count() <= 3]
+
+    def least(edges):
+        a, b = graph.forest(np.array([e[0] for e in edges]), np.array([e[1] for e in edges]))
+        return dict(zip(a.tolist(), b.tolist(), strict=True))
+
+    assert near and least(met) == least(near)
