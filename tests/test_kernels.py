@@ -198,3 +198,25 @@ def test_cells_are_never_capped():
     s = Linear(np.arange(30_000.0), rng.normal(size=(30_000, 1)))
     edges, factor = optimal.cell_edges(s, 2, 100_000)
     assert factor == 100_000 and len(edges) > 5001
+
+
+def test_short_signals_from_one_table_of_costs(monkeypatch):
+    """Absolute errors of many ranges at once, and penalties tried on one table, are what one range or run at a time gives."""
+    rng = np.random.default_rng(11)
+    for n in (5, 40, 90):
+        x = np.column_stack([np.round(rng.exponential(3000, n)), rng.integers(0, 100, n)]).astype(float)
+        s = Linear(np.arange(n) * 1.0, x)
+        table = optimal.all_costs(s)
+        at = np.arange(n)
+        assert np.allclose(table[n, :n], s.cost(at, n), rtol=1e-9, atol=1e-9 * s.total)
+        for gamma in (1, 2, 4):
+            k = min(3, n // gamma)
+            with monkeypatch.context() as m:
+                m.setattr(optimal, "WHOLE", 0)
+                want = optimal.penalized_for_k(s, k, gamma)
+            got = optimal.penalized_for_k(s, k, gamma)
+            assert np.array_equal(got[0], want[0]) and got[1:] == want[1:]
+        a = Absolute(np.arange(n) * 1.0, x)
+        lo = rng.integers(0, n - 3, 30)
+        hi = np.minimum(lo + rng.integers(1, n, 30), n)
+        assert np.allclose(a.cost(lo, hi), [a._fit(int(i), int(j))[2] if j - i > 2 else 0.0 for i, j in zip(lo, hi, strict=True)], rtol=1e-7)
