@@ -52,3 +52,13 @@ def test_partitions_of_every_users_events(spark):
     got = QUERIES["partition_count"](spark, SF).collect()
     assert {(r.signal_id, r.n) for r in got} == set(sizes.items()) and len(got) == 9 * len(sizes)
     assert all((r.partitions, r.printed) == (partitions(r.n, r.k, r.gamma), printed_partitions(r.n, r.k)) for r in got)
+
+
+def test_million_points_over_blocks(spark):
+    """A signal that one task isn't given is searched over blocks, and scored as the one-task search."""
+    from linseg import experiments
+
+    a, b = (experiments.million_points(spark, SF, 9_000, most).collect() for most in (4_000, 1_000_000))
+    assert len(a) == len(b) == 1 and a[0].least_n == b[0].least_n == 9_000
+    assert a[0].n_fits is None and b[0].n_fits > 0  # block searches don't count fits
+    assert abs(a[0].covering - b[0].covering) < 0.2 and a[0].signals == 1
