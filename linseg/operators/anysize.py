@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import time
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -44,6 +44,10 @@ def segment_any(sig: DataFrame, k: int, method: str, most_points: int = regime.M
             cuts, trace = giant.bottom_up(blocks, k, CELLS), []
         rows += giant.pieces(blocks, cuts, r.signal_id, method, trace, time.perf_counter() - began)
         blocks.rows.unpersist()
+    return small.unionByName(piece_rows(sig.sparkSession, rows))
+
+
+def piece_rows(spark: SparkSession, rows: list[dict]) -> DataFrame:
+    """Pieces found over blocks, a row each, as ``segment`` returns them."""
     schema = T._parse_datatype_string(PIECES)
-    found = sig.sparkSession.createDataFrame([tuple(x.get(f.name) for f in schema) for x in rows], schema)
-    return small.unionByName(found)
+    return spark.createDataFrame([tuple(x.get(f.name) for f in schema) for x in rows], schema)

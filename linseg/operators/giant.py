@@ -9,12 +9,13 @@ join in order by an associative rule, the leftmost minimum winning.
 from __future__ import annotations
 
 from bisect import bisect_right
-from collections.abc import Iterable, Iterator
+from collections.abc import Callable, Iterable, Iterator
+from copy import copy
 
 import numpy as np
 import pyarrow as pa
-from pyspark import StorageLevel
-from pyspark.sql import DataFrame, Window
+from pyspark import StorageLevel, TaskContext
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..kernels import merging
@@ -39,47 +40,166 @@ def with_global_position(df: DataFrame, order: list[str], partitions: int | None
     return placed.join(F.broadcast(table), "__p").withColumn("pos", F.col("__i") + F.col("__before")).drop("__p", "__i", "__before")
 
 
+def moments_of(t: np.ndarray, x: np.ndarray) -> np.ndarray:
+    """(n, t, tt, x.., tx.., xx) of points."""
+    return np.concatenate([[len(t), t.sum(), t @ t], x.sum(0), t @ x, [(x * x).sum()]])
+
+
+def _packed(block: int, t: np.ndarray | None, x: np.ndarray) -> pa.RecordBatch:
+    """One block as one row: its points by dimension, compressed."""
+    shrink = lambda v: pa.compress(np.ascontiguousarray(v).tobytes(), "zstd", asbytes=True)
+    cols = [pa.array([block], pa.int64()), pa.array([len(x)], pa.int32()), pa.array([x.shape[1]], pa.int32()), pa.array([None if t is None else shrink(t)], pa.binary()), pa.array([shrink(x.T)], pa.binary())]
+    return pa.RecordBatch.from_arrays(cols, names=["block", "n", "d", "t", "x"])
+
+
+PACKED = "block bigint, n int, d int, t binary, x binary"
+
+
+def _flat(col: pa.Array, n: int) -> np.ndarray:
+    return col.flatten().to_numpy(zero_copy_only=False).astype(float).reshape(n, -1)
+
+
+def _pack(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Rows (block, t, x) in order, a block's together."""
+    held, ts, xs = None, [], []
+    for batch in batches:
+        block, t, x = batch.column(0).to_numpy(), batch.column(1).to_numpy(), _flat(batch.column(2), batch.num_rows)
+        edges = [0, *(np.flatnonzero(np.diff(block)) + 1).tolist(), len(block)]
+        for a, b in zip(edges, edges[1:]):
+            if a == b:
+                continue
+            if held is not None and block[a] != held:
+                yield _packed(held, np.concatenate(ts), np.concatenate(xs))
+                ts, xs = [], []
+            held = int(block[a])
+            ts.append(t[a:b].astype(float))
+            xs.append(x[a:b])
+    if held is not None:
+        yield _packed(held, np.concatenate(ts), np.concatenate(xs))
+
+
+class _Reader:
+    """Points of packed blocks: (block, places, t in centred units, x).  Of every step-th place, where step is over one."""
+
+    def __init__(self, start: dict[int, int], step: int = 1, values: Callable | None = None, t0: float = 0.0, span: float = 1.0, origin: np.ndarray | float = 0.0):
+        self.start, self.step, self.values, self.t0, self.span, self.origin = start, step, values, t0, span, origin
+
+    def raw(self, batches: Iterable[pa.RecordBatch]) -> Iterator[tuple[int, np.ndarray, np.ndarray, np.ndarray]]:
+        for batch in batches:
+            for block, n, d, t, x in zip(*[batch.column(i).to_pylist() for i in range(3)], batch.column(3), batch.column(4), strict=True):
+                pos = np.arange(self.start[block], self.start[block] + n)
+                grow = lambda v, size: np.frombuffer(pa.decompress(v.as_buffer(), size, "zstd"))
+                t = grow(t, 8 * n) if t.is_valid else pos.astype(float)
+                x = grow(x, 8 * n * d).reshape(d, n).T
+                first = -int(pos[0]) % self.step
+                pos, t, x = pos[first :: self.step], t[first :: self.step], x[first :: self.step]
+                if len(pos):
+                    yield block, pos // self.step, t, x if self.values is None else self.values(pos, x)
+
+    def __call__(self, batches: Iterable[pa.RecordBatch]) -> Iterator[tuple[int, np.ndarray, np.ndarray, np.ndarray]]:
+        for block, pos, t, x in self.raw(batches):
+            yield block, pos, (t - self.t0) / self.span - 0.5, x - self.origin
+
+
 class Blocks:
-    """A single signal (pos, t, x) cut into blocks of so many places, with a pyramid of block moments on the driver."""
+    """A single signal (pos, t, x) cut into blocks of so many places, packed a row a block, with a pyramid of block moments on the driver."""
 
     def __init__(self, sig: DataFrame, block: int = BLOCK):
-        self.block = block
-        row = sig.agg(F.count("*").alias("n"), F.min("t"), F.max("t"), F.max(F.size("x"))).first()
-        self.n, self.t0, self.span, self.d = row[0], row[1], (row[2] - row[1]) or 1.0, row[3]
-        if -(-self.n // block) > MOST_BLOCKS:
+        rows = sig.select(F.floor(F.col("pos") / block).cast("bigint").alias("block"), "pos", F.col("t").cast("double").alias("t"), F.col("x").cast("array<double>").alias("x"))
+        rows = rows.repartition("block").sortWithinPartitions("block", "pos").select("block", "t", "x")
+        self._open(rows.mapInArrow(_pack, PACKED).persist(StorageLevel.MEMORY_AND_DISK))
+
+    @classmethod
+    def ordered(cls, df: DataFrame, order: list[str], x: Column, block: int = BLOCK, values: Callable[[np.ndarray, np.ndarray], np.ndarray] | None = None) -> Blocks:
+        """The signal of all rows in this order, t their places: one shuffle, by ranges, whose partitions are packed where they lie.
+
+        The places come from the blocks' sizes, so nothing but packed x is kept; ``values`` makes the signal's values of places and x
+        whenever a block is read.
+        """
+        n = max(1, int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+
+        def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            name, held, size = TaskContext.get().partitionId() << 32, [], 0
+            for batch in batches:
+                rest = _flat(batch.column(0), batch.num_rows)
+                while len(rest):
+                    part, rest = rest[: block - size], rest[block - size :]
+                    held.append(part)
+                    size += len(part)
+                    if size == block:
+                        yield _packed(name, None, np.concatenate(held))
+                        name, held, size = name + 1, [], 0
+            if size:
+                yield _packed(name, None, np.concatenate(held))
+
+        rows = df.repartitionByRange(n, *order).sortWithinPartitions(*order).select(x.cast("array<double>").alias("x"))
+        out = cls.__new__(cls)
+        out._open(rows.mapInArrow(run, PACKED).persist(StorageLevel.MEMORY_AND_DISK), values)
+        return out
+
+    def _open(self, rows: DataFrame, values: Callable | None = None) -> None:
+        self.rows = rows
+        if rows.count() > MOST_BLOCKS:
             raise ValueError("too many blocks for the driver; take a larger block")
-        self.origin = np.array(sig.agg(*[F.avg(F.col("x")[i]) for i in range(self.d)]).first(), float)
-        self.rows = sig.select(F.floor(F.col("pos") / block).cast("int").alias("block"), "pos", "t", "x").repartition("block").sortWithinPartitions("block", "pos").persist(StorageLevel.MEMORY_AND_DISK)
-        got = self._sums(self.rows.withColumn("part", F.lit(0)), ["block"])
-        self.level = np.zeros((-(-self.n // block), self.width))
-        for b, v in got:
-            self.level[b[0]] = v
+        found = sorted((r.block, r.n) for r in rows.select("block", "n").collect())
+        self.ids = [b for b, _ in found]
+        self.first = np.concatenate([[0], np.cumsum([n for _, n in found], dtype=np.int64)])
+        self.n = int(self.first[-1])
+        raw = _Reader(dict(zip(self.ids, self.first.tolist())), 1, values)
+
+        def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for _, _, t, x in raw.raw(batches):
+                yield pa.RecordBatch.from_pydict({"lo": [float(t.min())], "hi": [float(t.max())], "total": [x.sum(0).tolist()]})
+
+        got = self.rows.mapInArrow(run, "lo double, hi double, total array<double>").collect()
+        self.t0 = min(r.lo for r in got)
+        self.span = (max(r.hi for r in got) - self.t0) or 1.0
+        self.origin = np.sum([r.total for r in got], 0) / self.n
+        self.d = len(self.origin)
+        self._measure(_Reader(raw.start, 1, values, self.t0, self.span, self.origin))
+
+    def _measure(self, read: _Reader) -> None:
+        """The blocks' moments."""
+        self.read = read
+        self.edges = -(-self.first // read.step)
+        self.n = int(self.edges[-1])
+        at = {b: i for i, b in enumerate(self.ids)}
+        self.level = np.zeros((len(self.ids), self.width))
+        for b, v in self._moments(self.rows, {}):
+            self.level[at[b]] = v
         self.run = np.concatenate([np.zeros((1, self.width)), np.cumsum(self.level, 0)])
 
+    def every(self, step: int) -> Blocks:
+        """The signal of every step-th point: the same packed rows, thinned when they are read."""
+        out, r = copy(self), self.read
+        out._measure(_Reader(r.start, r.step * step, r.values, r.t0, r.span, r.origin))
+        return out
+
     @property
     def width(self) -> int:
         return 4 + 2 * self.d
 
-    def _sums(self, rows: DataFrame, by: list[str]) -> list[tuple[tuple, np.ndarray]]:
-        """Moments (n, t, tt, x.., tx.., xx) in centred units."""
-        t = (F.col("t") - self.t0) / self.span - 0.5
-        x = [F.col("x")[i] - float(self.origin[i]) for i in range(self.d)]
-        sq = sum((v * v for v in x[1:]), x[0] * x[0])
-        terms = [F.lit(1.0), t, t * t, *x, *[t * v for v in x], sq]
-        return [(tuple(r[c] for c in by), np.array([r[f"m{i}"] for i in range(self.width)], float)) for r in rows.groupBy(*by).agg(*[F.sum(e).alias(f"m{i}") for i, e in enumerate(terms)]).collect()]
+    def _moments(self, rows: DataFrame, wanted: dict[int, list[int]]) -> list[tuple[int, np.ndarray]]:
+        """Moments in centred units: (block, of all its points), or (place, of its block's points before it) of the wanted places by block."""
+        read = self.read
+
+        def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for block, pos, t, x in read(batches):
+                cut = [(p, int(np.searchsorted(pos, p))) for p in wanted[block]] if wanted else [(block, len(pos))]
+                yield pa.RecordBatch.from_pydict({"key": [k for k, _ in cut], "sums": [moments_of(t[:i], x[:i]).tolist() for _, i in cut]})
+
+        return [(r.key, np.array(r.sums)) for r in rows.mapInArrow(run, "key bigint, sums array<double>").collect()]
 
     def upto(self, places: list[int]) -> dict[int, np.ndarray]:
         """Moments of the points before each place: whole blocks from the pyramid, the rest of one block from the rows."""
         out, inside = {}, {}
         for p in places:
-            b = p // self.block
-            out[p] = self.run[min(b, len(self.level))]
-            if p % self.block and p < self.n:
-                inside.setdefault(b, []).append(p)
+            i = int(np.searchsorted(self.edges, p, "right")) - 1
+            out[p] = self.run[min(i, len(self.level))]
+            if p < self.n and p > self.edges[i]:
+                inside.setdefault(self.ids[i], []).append(p)
         if inside:
-            wanted = self.rows.sparkSession.createDataFrame([(b, p) for b, ps in inside.items() for p in ps], "block int, upto bigint")
-            rows = self.rows.where(F.col("block").isin(list(inside))).join(F.broadcast(wanted), "block").where("pos < upto")
-            for (p,), v in self._sums(rows, ["upto"]):
+            for p, v in self._moments(self.rows.where(F.col("block").isin(list(inside))), inside):
                 out[p] = out[p] + v
         out[self.n] = self.run[-1]
         return out
@@ -103,42 +223,32 @@ class Blocks:
         jobs = [(p, cuts[p], cuts[p + 2]) for p in pairs if cuts[p + 2] - cuts[p] >= 2 * gamma]
         if not jobs:
             return cuts
-        t0, span, origin, d = self.t0, self.span, self.origin, self.d
         lefts, rights = [j[1] for j in jobs], [j[2] for j in jobs]  # disjoint, so both ascend
-        lo, hi = lefts[0], rights[-1]
-        schema = pa.schema([("pair", pa.int32()), ("block", pa.int32()), ("total", pa.float64()), ("least", pa.float64()), ("at", pa.int64())])
+        read = self.read
+        schema = pa.schema([("pair", pa.int32()), ("block", pa.int64()), ("total", pa.float64()), ("least", pa.float64()), ("at", pa.int64())])
 
         def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            out: dict = {}
-            for batch in batches:
-                block, pos = batch.column(0).to_numpy(), batch.column(1).to_numpy()
-                t = (batch.column(2).to_numpy() - t0) / span - 0.5
-                x = batch.column(3).flatten().to_numpy(zero_copy_only=False).reshape(len(pos), d) - origin
-                edges = [0, *(np.flatnonzero(np.diff(block)) + 1).tolist(), len(block)]
-                for a, b in zip(edges, edges[1:]):
-                    if a == b:
+            rows = []
+            for block, pos, t, x in read(batches):
+                for p, left, right in jobs[bisect_right(rights, pos[0]) : bisect_right(lefts, pos[-1])]:
+                    i, j = np.searchsorted(pos, left), np.searchsorted(pos, right)
+                    if i >= j:
                         continue
-                    for p, left, right in jobs[bisect_right(rights, pos[a]) : bisect_right(lefts, pos[b - 1])]:
-                        i, j = a + np.searchsorted(pos[a:b], left), a + np.searchsorted(pos[a:b], right)
-                        if i >= j:
-                            continue
-                        dc, dm = c[p] - c[p + 1], m[p] - m[p + 1]
-                        tt, xx = t[i:j], x[i:j]
-                        diff = -2 * (xx @ dc + tt * (xx @ dm)) + (c[p] @ c[p] - c[p + 1] @ c[p + 1]) + 2 * tt * (c[p] @ m[p] - c[p + 1] @ m[p + 1]) + tt * tt * (m[p] @ m[p] - m[p + 1] @ m[p + 1])
-                        s = np.cumsum(diff)
-                        cut = pos[i:j] + 1  # the running sum after a point is that of cutting behind it
-                        ok = (cut >= left + gamma) & (cut <= right - gamma)
-                        least = np.where(ok, s, np.inf)
-                        k = int(np.argmin(least))
-                        old = out.get((p, int(block[a])))
-                        new = (float(s[-1]), float(least[k]), int(cut[k]))
-                        out[p, int(block[a])] = new if old is None else _join(old, new)
-            if out:
-                rows = [(p, b, *v) for (p, b), v in out.items()]
+                    dc, dm = c[p] - c[p + 1], m[p] - m[p + 1]
+                    tt, xx = t[i:j], x[i:j]
+                    diff = -2 * (xx @ dc + tt * (xx @ dm)) + (c[p] @ c[p] - c[p + 1] @ c[p + 1]) + 2 * tt * (c[p] @ m[p] - c[p + 1] @ m[p + 1]) + tt * tt * (m[p] @ m[p] - m[p + 1] @ m[p + 1])
+                    s = np.cumsum(diff)
+                    cut = pos[i:j] + 1  # the running sum after a point is that of cutting behind it
+                    ok = (cut >= left + gamma) & (cut <= right - gamma)
+                    least = np.where(ok, s, np.inf)
+                    k = int(np.argmin(least))
+                    rows.append((p, block, float(s[-1]), float(least[k]), int(cut[k])))
+            if rows:
                 yield pa.RecordBatch.from_arrays([pa.array(col, f.type) for col, f in zip(zip(*rows, strict=True), schema, strict=True)], schema=schema)
 
-        touched = self.rows.where((F.col("block") >= lo // self.block) & (F.col("block") <= (hi - 1) // self.block))
-        got = touched.mapInArrow(run, "pair int, block int, total double, least double, at bigint").collect()
+        lo, hi = np.searchsorted(self.edges, lefts[0], "right") - 1, np.searchsorted(self.edges, rights[-1], "left") - 1
+        touched = self.rows.where(F.col("block").between(self.ids[lo], self.ids[hi]))
+        got = touched.mapInArrow(run, "pair int, block bigint, total double, least double, at bigint").collect()
         cuts = list(cuts)
         folded: dict[int, tuple] = {}
         for r in sorted(got, key=lambda r: (r.pair, r.block)):
@@ -190,6 +300,14 @@ class _Merged:
         return float(self.cost([i], [j])[0])
 
 
+def refine_from_coarse(blocks: Blocks, k: int, step: int, gamma: int = GAMMA, **options) -> tuple[list[int], list[float]]:
+    """The search on every step-th point, then a refinement on all."""
+    if step <= 1:
+        return refine_then_merge(blocks, k, gamma, **options)
+    rough, _ = refine_then_merge(blocks.every(step), k, gamma, **options)
+    return refine(blocks, [min(c * step, blocks.n) for c in rough], gamma, **options)
+
+
 def merge(blocks: Blocks, cuts: list[int], k: int) -> list[int]:
     return merging.merge(_Merged(blocks, cuts), np.array(cuts), k)[0].tolist()
 
