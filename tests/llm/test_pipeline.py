@@ -49,3 +49,15 @@ def test_stages_on_odd_tables(spark, kind):
         out.count()
         if name != "byte_bpe":
             assert out.columns == docs.columns
+
+
+def test_words_known_to_a_shared_worker_are_few():
+    """Steps and generations bound what a worker of the last stage holds, though every word is new."""
+    c = bpe.Codec(*bpe.default_vocabulary(), bpe.KNOWN_BYTES)
+    words = [hashlib.md5(b"%d" % i).hexdigest()[:8] for i in range(130_000)]
+    step, most = bpe.STEP_BYTES // 9, 0
+    for lo in range(0, len(words), step):
+        ids, back = c.encode([" ".join(words[lo : lo + step])])
+        assert back[0].as_py().decode() == " ".join(words[lo : lo + step])
+        most = max(most, c.store.new.bytes + c.store.old.bytes)
+    assert 0 < most < 24 << 20
